@@ -8,7 +8,7 @@ import uuid
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql.types import StructType
+from pyspark.sql.types import DataType, StructType
 
 #: Used only where the session names no shared folder, as in tests on one machine.
 FALLBACK_DIR = "file:///tmp/checkpoints/fieldloom"
@@ -91,5 +91,5 @@ def wider(df: DataFrame, *fields: tuple[str, str]) -> StructType:
     """The schema of ``df`` followed by further fields."""
     out = StructType(list(df.schema.fields))
     for name, kind in fields:
-        out = out.add(name, kind)
+        out = out.add(name, DataType.fromDDL(kind))
     return out

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language_id
+from . import byte_bpe, language_id
 from .common import read_table
 
 
@@ -21,5 +21,11 @@ def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", folded(5, 0).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {"op7_language_id": op7_language_id}
+def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
+    out = byte_bpe.encode_documents(docs, byte_bpe.default_ranks(spark), ids=False, digests=True)
+    return out.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
+
+
+QUERIES = {"op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
 ORACLES: dict[str, str] = {}
