@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, language_id
+from . import byte_bpe, language_id, secret_scan, toxicity
 from .common import read_table
 
 
@@ -27,5 +27,21 @@ def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
 
 
-QUERIES = {"op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
+def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = secret_scan.scan(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    shown = lambda spans: F.array_join(F.transform(spans, lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))), ",")
+    base = F.filter("secrets", lambda x: x["kind"] != "named")
+    count = lambda kind: F.size(F.filter("secrets", lambda x: x["kind"] == kind)).cast("bigint").alias(f"n_{kind}")
+    return out.select("doc_id", count("assign"), count("access"), count("hex"), F.sha2(shown(base), 256).alias("base_sha256"), shown(F.col("secrets")).alias("spans"))
+
+
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
+    labels = read_table(spark, sf_dir, "labels").select("doc_id", "toxic").where(~folded(4, 2))
+    out = toxicity.judge(docs, toxicity.fit(docs, labels))
+    score = F.col("toxicity")
+    return out.select("doc_id", folded(4, 2).alias("held_out"), score.alias("score"), (score >= 0.3).cast("int").alias("predicted"), F.size("segments").alias("n_segments"))
+
+
+QUERIES = {"op1_toxicity": op1_toxicity, "op8_secret_scan": op8_secret_scan, "op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
 ORACLES: dict[str, str] = {}
