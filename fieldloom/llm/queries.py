@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, language_id, secret_scan, toxicity
+from . import byte_bpe, language_id, learned_partitions, secret_scan, toxicity
 from .common import read_table
 
 
@@ -43,5 +43,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", folded(4, 2).alias("held_out"), score.alias("score"), (score >= 0.3).cast("int").alias("predicted"), F.size("segments").alias("n_segments"))
 
 
-QUERIES = {"op1_toxicity": op1_toxicity, "op8_secret_scan": op8_secret_scan, "op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
+def op10_learned_partitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return learned_partitions.search(vectors, vectors.where("vec_id % 100 = 0"))
+
+
+QUERIES = {"op10_learned_partitions": op10_learned_partitions, "op1_toxicity": op1_toxicity, "op8_secret_scan": op8_secret_scan, "op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
 ORACLES: dict[str, str] = {}
