@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, language_id, learned_partitions, secret_scan, toxicity
+from . import byte_bpe, language_id, learned_partitions, secret_scan, substring_dedup, suffix_dedup, toxicity
 from .common import read_table
 
 
@@ -48,5 +48,15 @@ def op10_learned_partitions(spark: SparkSession, sf_dir: str) -> DataFrame:
     return learned_partitions.search(vectors, vectors.where("vec_id % 100 = 0"))
 
 
-QUERIES = {"op10_learned_partitions": op10_learned_partitions, "op1_toxicity": op1_toxicity, "op8_secret_scan": op8_secret_scan, "op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
+def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = substring_dedup.deduplicate(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return out.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
+def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = suffix_dedup.deduplicate(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return out.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
+QUERIES = {"op3_substring_dedup": op3_substring_dedup, "op9_suffix_dedup": op9_suffix_dedup, "op10_learned_partitions": op10_learned_partitions, "op1_toxicity": op1_toxicity, "op8_secret_scan": op8_secret_scan, "op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
 ORACLES: dict[str, str] = {}
