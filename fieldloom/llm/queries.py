@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, decontaminate, language_id, learned_partitions, line_dedup, secret_scan, substring_dedup, suffix_dedup, toxicity
+from . import byte_bpe, decontaminate, language_id, learned_partitions, line_dedup, ngram_join, secret_scan, substring_dedup, suffix_dedup, toxicity
 from .common import read_table
 
 
@@ -68,5 +68,9 @@ def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "n_hit", F.size("item_ids").cast("bigint").alias("n_items"), F.sha2(F.array_join("item_ids", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
-QUERIES = {"op2_line_dedup": op2_line_dedup, "op5_decontaminate": op5_decontaminate, "op3_substring_dedup": op3_substring_dedup, "op9_suffix_dedup": op9_suffix_dedup, "op10_learned_partitions": op10_learned_partitions, "op1_toxicity": op1_toxicity, "op8_secret_scan": op8_secret_scan, "op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
-ORACLES: dict[str, str] = {"op2_line_dedup": line_dedup.ORACLE, "op5_decontaminate": decontaminate.ORACLE}
+def op6_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.link_components(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+QUERIES = {"op6_ngram_join": op6_ngram_join, "op2_line_dedup": op2_line_dedup, "op5_decontaminate": op5_decontaminate, "op3_substring_dedup": op3_substring_dedup, "op9_suffix_dedup": op9_suffix_dedup, "op10_learned_partitions": op10_learned_partitions, "op1_toxicity": op1_toxicity, "op8_secret_scan": op8_secret_scan, "op4_byte_bpe": op4_byte_bpe, "op7_language_id": op7_language_id}
+ORACLES: dict[str, str] = {"op2_line_dedup": line_dedup.ORACLE, "op5_decontaminate": decontaminate.ORACLE, "op6_ngram_join": ngram_join.ORACLE}
