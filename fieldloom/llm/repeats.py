@@ -156,16 +156,24 @@ def covers(docs: DataFrame, by_words: bool, groups: Callable) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(shard[cuts[:-1]], pa.int64()), pa.array(blobs, pa.binary())], names=["shard", "blob"])
 
     def judged(batches):
-        blobs = [x.as_py() for b in batches for x in b.column("blob")]
-        if not blobs:
-            return
-        out = covered_runs(*groups(blobs))
-        del blobs
-        for at in range(0, len(out[0]), 200_000):
-            yield pa.RecordBatch.from_arrays([pa.array(np.asarray(c[at : at + 200_000], np.int64)) for c in out], names=["fl_id", "fl_k", "a", "e"])
+        def shard_of(blobs):
+            out = covered_runs(*groups(blobs))
+            for at in range(0, len(out[0]), 200_000):
+                yield pa.RecordBatch.from_arrays([pa.array(np.asarray(c[at : at + 200_000], np.int64)) for c in out], names=["fl_id", "fl_k", "a", "e"])
+
+        now, held = None, []
+        for b in batches:  # sorted by shard; one shard at a time is in memory
+            for shard, blob in zip(b.column("shard").to_pylist(), b.column("blob")):
+                if shard != now and held:
+                    yield from shard_of(held)
+                    held = []
+                now = shard
+                held.append(blob.as_py())
+        if held:
+            yield from shard_of(held)
 
     width = max(shards // 8, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    found = usable.mapInArrow(suspects, "shard bigint, blob binary").repartition(width, "shard").mapInArrow(judged, "fl_id bigint, fl_k bigint, a bigint, e bigint")
+    found = usable.mapInArrow(suspects, "shard bigint, blob binary").repartition(width, "shard").sortWithinPartitions("shard").mapInArrow(judged, "fl_id bigint, fl_k bigint, a bigint, e bigint")
     return found.select("fl_id", "fl_k", F.struct(F.col("a").cast("int"), F.col("e").cast("int")).alias("x")).groupBy("fl_id", "fl_k").agg(F.collect_list("x").alias("fl_cover"))
 
 
