@@ -21,20 +21,20 @@ def line_hash(line: Column) -> Column:
 
 def chunk_array(text: Column) -> Column:
     """The chunks of a text, in order: (i, n, body) with the number of lines and their bytes."""
-    lines = F.split(text, "\n", -1)
-    hashes = F.transform(lines, line_hash)
+    # transform over a one-element array names a value, so that it is computed once and not at each use
+    once = lambda value, use: F.element_at(F.transform(F.array(value), use), 1)
+
+    def rolled(h: Column) -> Column:
+        return F.transform(h, lambda x, i: (F.when(i > 0, F.element_at(h, F.greatest(i, F.lit(1)))).otherwise(F.lit(0)) * WEIGHT + x) % MODULUS % DIVISOR)
 
-    def ends(h: Column) -> Column:
-        rolled = F.transform(h, lambda x, i: (F.when(i > 0, F.element_at(h, F.greatest(i, F.lit(1)))).otherwise(F.lit(0)) * WEIGHT + x) % MODULUS % DIVISOR)
-        return F.filter(F.sequence(F.lit(1), F.size(h)), lambda i: (i == F.size(h)) | (F.element_at(rolled, i) == 0))
+    def ends(r: Column) -> Column:
+        return F.filter(F.sequence(F.lit(1), F.size(r)), lambda i: (i == F.size(r)) | (F.element_at(r, i) == 0))
 
-    def cut(e: Column) -> Column:
+    def cut(lines: Column, e: Column) -> Column:
         first = lambda i: F.when(i > 0, F.element_at(e, F.greatest(i, F.lit(1))) + 1).otherwise(F.lit(1))
         return F.transform(e, lambda x, i: F.named_struct(F.lit("i"), i, F.lit("n"), x - first(i) + 1, F.lit("body"), F.array_join(F.slice(lines, first(i), x - first(i) + 1), "\n")))
 
-    # transform over one-element arrays names a value once, so that it is computed once
-    once = lambda value, use: F.element_at(F.transform(F.array(value), use), 1)
-    return once(hashes, lambda h: once(ends(h), cut))
+    return once(F.split(text, "\n", -1), lambda lines: once(F.transform(lines, line_hash), lambda h: once(rolled(h), lambda r: once(ends(r), lambda e: cut(lines, e)))))
 
 
 def eligible(c: Column) -> Column:
