@@ -5,7 +5,7 @@ from __future__ import annotations
 from fieldloom.model import CODECS, META, QUANT, RESID, STAGES, VALUE
 
 # Relative costs a point, in units of reading one encoded byte; calibrate on a cluster.
-DECODE, RESTORE, SCAN, SCALE = 1.0, 0.2, 1.2, 0.4
+DECODE, RESTORE, SCAN, SCALE = 1.0, 0.1, 1.2, 0.4
 SHUFFLE = 3.0
 
 
