@@ -8,6 +8,7 @@ import uuid
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.types import DataType, StructType
 
 #: Used only where the session names no shared folder, as in tests on one machine.
@@ -35,6 +36,15 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows up to which a join broadcasts a table of a few columns that has been counted.
+BROADCAST_ROWS = 300_000
+
+
+def hinted(df: DataFrame, rows: int) -> DataFrame:
+    """Broadcast while the counted rows are within a fixed bound; a shuffled join beyond it."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
+
 def forget(keep: int = 0) -> None:
     """Delete what written() left, but for the last ``keep`` tables."""
     while len(_written) > keep:

@@ -10,13 +10,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import hinted, written
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 GAPS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WINDOW = 10
 RAREST = 3  # terms of a phrase whose lists are intersected
-BROADCAST_ROWS = 500_000  # benchmark terms or windows up to which a join broadcasts them
 
 
 def word_array(text: Column) -> Column:
@@ -24,11 +23,6 @@ def word_array(text: Column) -> Column:
     return F.array_remove(F.split(F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER), GAPS), "")
 
 
-def hinted(df: DataFrame, rows: int) -> DataFrame:
-    """Broadcast while the counted rows are within a fixed bound; a shuffled join beyond it."""
-    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
-
-
 def item_windows(items: DataFrame, size: int = WINDOW) -> DataFrame:
     """(win, words, n, items): the distinct windows of all items, with the ids of the items that hold each."""
     w = items.select(F.col("item_id").cast("string").alias("item"), word_array(F.col("text")).alias("w")).where(F.size("w") > 0)

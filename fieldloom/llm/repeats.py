@@ -21,12 +21,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, DataType, StructField, StructType
 
-from .common import pieces, text_buffers, wider
+from .common import hinted, pieces, text_buffers, written
 from .rolling import Hasher, anchor_runs, full_windows, words
 from .sketch import Sketch, bits_for, merged
 
 WINDOW, ANCHOR = 50, 25
+WHOLE = (1 << 31) - 1  # the end of a stretch that takes all of a text
 SHARD_BYTES = 16 << 20  # text for each shard of the second pass
 
 
@@ -110,6 +112,13 @@ def covers(docs: DataFrame, by_words: bool, groups: Callable) -> DataFrame:
     """(fl_id, fl_k, fl_cover) for each document with something to remove; ``docs`` has (fl_id, fl_k, text)."""
     spark = docs.sparkSession
     usable = docs.where("fl_id is not null and text is not null")
+    # of rows with one text only those of the smallest id are scanned; the others go as a whole
+    whole_text = [F.xxhash64("text").alias("t1"), F.hash("text").alias("t2"), F.octet_length("text").alias("t3")]
+    same = usable.select("fl_id", "fl_k", *whole_text)
+    first = same.groupBy("t1", "t2", "t3").agg(F.min("fl_id").alias("first"), F.count("*").alias("many")).where("many > 1").drop("many")
+    copies = written(same.join(first, ["t1", "t2", "t3"]).where("fl_id > first").select("fl_id", "fl_k").distinct(), "copies")
+    many = copies.count()
+    usable = usable.join(hinted(copies, many), ["fl_id", "fl_k"], "left_anti")
     size = usable.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     keys = size // (13 * (7 if by_words else 1)) + 1
     shards = max(1, math.ceil(size / SHARD_BYTES)) * 8
@@ -174,6 +183,8 @@ def covers(docs: DataFrame, by_words: bool, groups: Callable) -> DataFrame:
 
     width = max(shards // 8, int(spark.conf.get("spark.sql.shuffle.partitions")))
     found = usable.mapInArrow(suspects, "shard bigint, blob binary").repartition(width, "shard").sortWithinPartitions("shard").mapInArrow(judged, "fl_id bigint, fl_k bigint, a bigint, e bigint")
+    # a copy of W units or more is covered whole: its end is open
+    found = found.unionByName(copies.select("fl_id", "fl_k", F.lit(0).cast("bigint").alias("a"), F.lit(WHOLE).cast("bigint").alias("e")))
     return found.select("fl_id", "fl_k", F.struct(F.col("a").cast("int"), F.col("e").cast("int")).alias("x")).groupBy("fl_id", "fl_k").agg(F.collect_list("x").alias("fl_cover"))
 
 
@@ -184,9 +195,11 @@ def removed_units(bounds: np.ndarray, cover: pa.Array) -> np.ndarray:
     flat = arr.flatten()
     if len(flat):
         many = np.asarray(pa.compute.fill_null(pa.compute.list_value_length(arr), 0), np.int64)
-        base = np.repeat(bounds[:-1], many)
-        np.add.at(depth, base + np.asarray(flat.field(0), np.int64), 1)
-        np.add.at(depth, base + np.asarray(flat.field(1), np.int64), -1)
+        base, units = np.repeat(bounds[:-1], many), np.repeat(np.diff(bounds), many)
+        start, stop = (np.asarray(flat.field(c), np.int64) for c in (0, 1))
+        keep = (stop < WHOLE) | (units >= WINDOW)
+        np.add.at(depth, (base + start)[keep], 1)
+        np.add.at(depth, (base + np.minimum(stop, units))[keep], -1)
     return np.cumsum(depth)[:-1] > 0
 
 
@@ -195,20 +208,41 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.withColumn("fl_id", F.col("doc_id").cast("bigint")).withColumn("fl_k", F.xxhash64("doc_id", "text"))
 
 
+def packed_text(docs: DataFrame) -> DataFrame:
+    """``docs`` with ``text`` as compressed bytes after its length, so that a shuffle moves less."""
+    schema = StructType([f if f.name != "text" else StructField("text", BinaryType()) for f in docs.schema.fields])
+
+    def run(batches):
+        for b in batches:
+            small = [None if x is None else len(x).to_bytes(8, "little") + pa.compress(x, codec="zstd", asbytes=True) for x in (None if t is None else t.encode() for t in b.column("text").to_pylist())]
+            yield pa.RecordBatch.from_arrays([pa.array(small, pa.binary()) if n == "text" else b.column(n) for n in b.schema.names], names=b.schema.names)
+
+    return docs.mapInArrow(run, schema)
+
+
+def unpacked_text(batch: pa.RecordBatch) -> pa.RecordBatch:
+    texts = [None if x is None else pa.decompress(x[8:], decompressed_size=int.from_bytes(x[:8], "little"), codec="zstd", asbytes=True) for x in batch.column("text").to_pylist()]
+    return pa.RecordBatch.from_arrays([pa.array(texts, pa.binary()).cast(pa.string()) if n == "text" else batch.column(n) for n in batch.schema.names], names=batch.schema.names)
+
+
 def rejoined(docs: DataFrame, by_words: bool, groups: Callable, names: list[tuple[str, str]], finish: Callable) -> DataFrame:
     """``docs`` with the columns ``names`` that ``finish(raw, offsets, cover)`` gives for each batch of texts."""
     keep = keyed(docs.drop(*[n for n, _ in names], "fl_id", "fl_k", "fl_cover"))
     cover = covers(keep.select("fl_id", "fl_k", "text"), by_words, groups)
-    joined = keep.join(cover, ["fl_id", "fl_k"], "left").drop("fl_id", "fl_k")
-    own = [c for c in joined.columns if c != "fl_cover"]
+    own = [c for c in keep.columns if c not in ("fl_id", "fl_k")]
+    slim = packed_text(keep)
+    joined = slim.join(cover, ["fl_id", "fl_k"], "left").drop("fl_id", "fl_k")
+    result = StructType([keep.schema[c] for c in own])
+    for n, kind in names:
+        result = result.add(n, DataType.fromDDL(kind))
 
     def run(batches):
         for whole in batches:
-            for b in pieces(whole, "text", 2 << 20):
+            for b in pieces(unpacked_text(whole), "text", 2 << 20):
                 raw, offsets, _ = text_buffers(b.column("text"))
                 yield pa.RecordBatch.from_arrays([*(b.column(c) for c in own), *finish(raw, offsets, b.column("fl_cover"))], names=[*own, *(n for n, _ in names)])
 
-    return joined.mapInArrow(run, wider(joined.select(*own), *names))
+    return joined.mapInArrow(run, result)
 
 
 def binary_array(data: np.ndarray, offsets: np.ndarray) -> pa.Array:

@@ -18,7 +18,7 @@ FIRST = 8  # bytes that initial buckets look at
 
 def buckets(codes: np.ndarray) -> np.ndarray:
     """Bucket identifiers in the order of their codes."""
-    order = np.argsort(codes, kind="stable")
+    order = np.argsort(codes)
     ranked = codes[order]
     out = np.empty(len(codes), np.int64)
     out[order] = np.cumsum(np.concatenate([[0], ranked[1:] != ranked[:-1]])) if len(codes) else 0
