@@ -14,14 +14,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix64, pieces, text_buffers, written
+from .common import BROADCAST_ROWS, hinted, mix64, pieces, text_buffers, written
 from .rolling import Hasher, full_windows, words
 from .sketch import Sketch, bits_for, merged
 
 SHINGLE = 5
 NUMERATOR, DENOMINATOR = 75, 100  # 100 * intersection >= 75 * union
 HOT = 200  # texts from which a token counts as very frequent
-STAR_TOKENS = 4  # tokens of each order whose buckets give a first set of links
+STAR_TOKENS = 3  # tokens of each text and order whose buckets give a first set of links
+ROUNDS = 4  # times that texts outside a bucket's main component meet a member of it drawn anew
 SECOND = np.uint64(0x5851F42D4C957F2D)
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
@@ -78,7 +79,7 @@ def text_sets(docs: DataFrame) -> DataFrame:
                 s.load(b.column("text"))
                 yield s.token
 
-    sketch = merged(docs.where("doc_id is not null").select("text"), keys_of, bits_for(size // 8))
+    sketch = merged(docs.where("doc_id is not null").select("text"), keys_of, bits_for(size // 16))
 
     def run(batches):
         s, seen = Shingler(), Sketch(*sketch.value).seen
@@ -90,7 +91,9 @@ def text_sets(docs: DataFrame) -> DataFrame:
                 maybe = (s.n > 0) & (held * DENOMINATOR >= s.n * NUMERATOR)
                 yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(s.n, pa.int64()), pa.array(s.sums(mix64(s.token)).view(np.int64)), pa.array(s.sums(mix64(s.token ^ SECOND)).view(np.int64)), blob_list(s.token, s.cuts, maybe)], names=["doc_id", "n", "s1", "s2", "tokens"])
 
-    return written(docs.mapInArrow(run, "doc_id bigint, n bigint, s1 bigint, s2 bigint, tokens binary"), "sets")
+    out = written(docs.mapInArrow(run, "doc_id bigint, n bigint, s1 bigint, s2 bigint, tokens binary"), "sets")
+    sketch.destroy()
+    return out
 
 
 def token_arrays(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
@@ -108,7 +111,7 @@ def prefixes(reps: DataFrame) -> DataFrame:
     """(ord, token, rep, n, pos, u, k): the prefix tokens of each set under each order that another set may share.
 
     ``pos`` counts all tokens before it, ``u`` is the number of tokens that no other set has, and ``k``
-    numbers the rows of a set and order.
+    numbers the rows of a set and order.  Order 2 lists very frequent tokens, for first links only.
     """
 
     def keys_of(batches):
@@ -132,38 +135,54 @@ def prefixes(reps: DataFrame) -> DataFrame:
                 begin = np.cumsum(n) - n
                 # any partner shares at least the share's part of the set
                 length = n - -(-n * NUMERATOR // DENOMINATOR) + 1
+                def listed(o, at, place, star):
+                    r = row[at]
+                    return pa.RecordBatch.from_arrays([pa.array(np.full(len(at), o, np.int32)), pa.array(token[at].view(np.int64)), b.column("rep").take(pa.array(r)), pa.array(n[r]), pa.array(place), pa.array(own[r]), pa.array(star)], names=["ord", "token", "rep", "n", "pos", "u", "k"])
+
                 for o, key in enumerate((token, mix64(token ^ SECOND))):
                     order = np.lexsort((key, kind, row))
                     pos = np.arange(len(order)) - begin[row[order]]
                     keep = (pos < length[row[order]]) & (kind[order] > 0)
-                    at = order[keep]
-                    r = row[at]
-                    place = pos[keep]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), o, np.int32)), pa.array(token[at].view(np.int64)), b.column("rep").take(pa.array(r)), pa.array(n[r]), pa.array(place), pa.array(own[r]), pa.array(place - own[r])], names=["ord", "token", "rep", "n", "pos", "u", "k"])
+                    at, place = order[keep], pos[keep]
+                    yield listed(o, at, place, place - own[row[at]])
+                # the very frequent tokens tell large groups: a few of them, by a third order, for first links only
+                at = np.flatnonzero(kind > 1)
+                at = at[np.lexsort((mix64(token[at] + SECOND), row[at]))]
+                place = np.arange(len(at)) - np.searchsorted(row[at], row[at])
+                keep = place < STAR_TOKENS
+                yield listed(2, at[keep], place[keep], place[keep])
 
-    return written(reps.mapInArrow(run, "ord int, token bigint, rep bigint, n bigint, pos bigint, u bigint, k bigint"), "prefixes")
+    out = written(reps.mapInArrow(run, "ord int, token bigint, rep bigint, n bigint, pos bigint, u bigint, k bigint"), "prefixes")
+    shared.destroy()
+    hot.destroy()
+    return out
 
 
 def verified(pairs: DataFrame, reps: DataFrame) -> DataFrame:
-    """Those of the distinct ``pairs`` (a, b) whose sets reach the similarity, with ``same`` tokens in common."""
+    """Those of the distinct, written ``pairs`` (a, b) whose sets reach the similarity."""
     sets = reps.select("rep", "tokens")
-    both = pairs.join(sets.withColumnsRenamed({"rep": "a", "tokens": "ta"}), "a").join(sets.withColumnsRenamed({"rep": "b", "tokens": "tb"}), "b").select("a", "b", "ta", "tb")
+    if pairs.count() <= BROADCAST_ROWS:
+        # few pairs go to the sets, and only the sets that they name are shuffled
+        sides = [sets.join(F.broadcast(pairs), F.col("rep") == F.col(c)).select("a", "b", F.struct(F.lit(n).alias("side"), "tokens").alias("t")) for n, c in enumerate("ab")]
+        both = sides[0].union(sides[1]).groupBy("a", "b").agg(F.collect_list("t").alias("t"))
+        side = lambda n: F.transform(F.filter("t", lambda x: x["side"] == n), lambda x: x["tokens"])
+        both = both.select("a", "b", side(0).alias("ta"), side(1).alias("tb"))
+    else:
+        both = pairs.join(sets.withColumnsRenamed({"rep": "a", "tokens": "ta"}), "a").join(sets.withColumnsRenamed({"rep": "b", "tokens": "tb"}), "b").select("a", "b", F.array("ta").alias("ta"), F.array("tb").alias("tb"))
+
+    def alike(x: bytes, y: bytes) -> bool:
+        both = np.concatenate([np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)])
+        both.sort()
+        same = int((both[1:] == both[:-1]).sum())
+        return DENOMINATOR * same >= NUMERATOR * (len(both) - same)
 
     def run(batches):
         for batch in batches:
-            keep, common = [], []
-            for i, (x, y) in enumerate(zip(batch.column("ta"), batch.column("tb"))):
-                x, y = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
-                both = np.concatenate([x, y])
-                both.sort()
-                same = int((both[1:] == both[:-1]).sum())
-                if DENOMINATOR * same >= NUMERATOR * (len(x) + len(y) - same):
-                    keep.append(i)
-                    common.append(same)
+            keep = [i for i, (xs, ys) in enumerate(zip(batch.column("ta"), batch.column("tb"))) if any(alike(x.as_py(), y.as_py()) for x in xs for y in ys)]
             at = pa.array(keep, pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column("a").take(at), batch.column("b").take(at), pa.array(common, pa.int64())], names=["a", "b", "same"])
+            yield pa.RecordBatch.from_arrays([batch.column("a").take(at), batch.column("b").take(at)], names=["a", "b"])
 
-    return both.mapInArrow(run, "a bigint, b bigint, same bigint")
+    return both.mapInArrow(run, "a bigint, b bigint")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -187,18 +206,44 @@ def close_in_size(x: str, y: str):
     return (F.least(x, y) * DENOMINATOR >= F.greatest(x, y) * NUMERATOR)
 
 
+def with_components(rows: DataFrame, labels: DataFrame) -> DataFrame:
+    return rows.join(hinted(labels.withColumnRenamed("v", "rep"), labels.count()), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+
+
+def fits():
+    """Whether two sets (n1, n2) with a first common token at pos1 and pos2 can still reach the similarity."""
+    room = F.least(F.col("n1") - F.col("pos1"), F.col("n2") - F.col("pos2"))
+    return close_in_size("n1", "n2") & (room * (NUMERATOR + DENOMINATOR) >= (F.col("n1") + F.col("n2")) * NUMERATOR)
+
+
 def between_components(rows: DataFrame, labels: DataFrame) -> DataFrame:
     """Distinct pairs (a, b) of different components that share a prefix token of one order, places permitting."""
-    rows = rows.join(labels.withColumnRenamed("v", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+    rows = with_components(rows, labels)
     # the component with most of a bucket needs no pairs within it: the others meet it and each other
     main = rows.groupBy("token", "comp").agg(F.count("*").alias("c")).groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("token", "main")
     rows = rows.join(main, "token")
     few = rows.where("comp <> main").select("token", "main", *(F.col(c).alias(f"{c}1") for c in ("rep", "comp", "n", "pos")))
     all_ = rows.select("token", *(F.col(c).alias(f"{c}2") for c in ("rep", "comp", "n", "pos")))
-    # overlap needed for the share, against what is left after the first token in common
-    room = 1 + F.least(F.col("n1") - F.col("pos1"), F.col("n2") - F.col("pos2")) - 1
-    fits = (F.col("comp1") != F.col("comp2")) & ((F.col("comp2") == F.col("main")) | (F.col("rep1") < F.col("rep2"))) & close_in_size("n1", "n2") & (room * (NUMERATOR + DENOMINATOR) >= (F.col("n1") + F.col("n2")) * NUMERATOR)
-    return few.join(all_, "token").where(fits).select(F.least("rep1", "rep2").alias("a"), F.greatest("rep1", "rep2").alias("b")).distinct()
+    test = (F.col("comp1") != F.col("comp2")) & ((F.col("comp2") == F.col("main")) | (F.col("rep1") < F.col("rep2"))) & fits()
+    return few.join(all_, "token").where(test).select(F.least("rep1", "rep2").alias("a"), F.greatest("rep1", "rep2").alias("b")).distinct()
+
+
+def drawn_pairs(rows: DataFrame, labels: DataFrame, turn: int) -> DataFrame:
+    """Distinct pairs (a, b) of each text outside its bucket's drawn component with the member drawn this turn."""
+    rows = with_components(rows.where(F.col("k") < STAR_TOKENS), labels)
+    one = F.struct("rep", "comp", "n", "pos")
+    drawn = rows.groupBy("ord", "token").agg(F.min_by(one, F.xxhash64("rep", F.lit(turn))).alias("c"), (F.min("comp") != F.max("comp")).alias("mixed")).where("mixed")
+    drawn = drawn.select("ord", "token", *(F.col(f"c.{c}").alias(f"{c}2") for c in ("rep", "comp", "n", "pos")))
+    near = rows.withColumnsRenamed({c: f"{c}1" for c in ("rep", "comp", "n", "pos")}).join(drawn, ["ord", "token"]).where((F.col("comp1") != F.col("comp2")) & close_in_size("n1", "n2"))
+    return near.select(F.least("rep1", "rep2").alias("a"), F.greatest("rep1", "rep2").alias("b")).distinct()
+
+
+def relabelled(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """``labels`` after further ``links``, which join whole components."""
+    label = lambda name: labels.select(F.col("v").alias(name), F.col("comp").alias(f"c{name}"))
+    bridges = links.join(label("a"), "a", "left").join(label("b"), "b", "left").select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b"))
+    more = components(bridges).select(F.col("v").alias("comp"), F.col("comp").alias("top"))
+    return written(labels.join(more, "comp", "full").select(F.coalesce("v", "comp").alias("v"), F.coalesce("top", "comp").alias("comp")).groupBy("v").agg(F.min("comp").alias("comp")), "labels")
 
 
 def link_components(docs: DataFrame) -> DataFrame:
@@ -213,8 +258,7 @@ def link_components(docs: DataFrame) -> DataFrame:
     sets = text_sets(docs)
     equal = ["n", "s1", "s2"]
     classes = sets.where("n > 0 and doc_id is not null").groupBy(*equal).agg(F.min("doc_id").alias("rep"))
-    reps = sets.where("tokens is not null and doc_id is not null").join(classes, equal).where("doc_id = rep").select("rep", "n", "tokens").dropDuplicates(["rep", "n", "tokens"])
-    # an id with several texts keeps one number for each
+    reps = sets.where("tokens is not null and doc_id is not null").join(classes, equal).where("doc_id = rep").select("rep", "n", "tokens")
     reps = written(reps, "representatives")
     rows = prefixes(reps)
 
@@ -225,14 +269,19 @@ def link_components(docs: DataFrame) -> DataFrame:
     tried = written(near.select(F.least("rep", "centre").alias("a"), F.greatest("rep", "centre").alias("b")).distinct(), "star-pairs")
     labels = components(verified(tried, reps))
 
-    first = between_components(rows.where("ord = 0"), labels)
-    second = between_components(rows.where("ord = 1"), labels)
-    rest = first.join(second, ["a", "b"], "left_semi").join(tried, ["a", "b"], "left_anti")
-    links = verified(rest, reps)
-    label = lambda name: labels.select(F.col("v").alias(name), F.col("comp").alias(f"c{name}"))
-    bridges = links.join(label("a"), "a", "left").join(label("b"), "b", "left").select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b"))
-    more = components(bridges).select(F.col("v").alias("comp"), F.col("comp").alias("top"))
-    final = labels.join(more, "comp", "full").select(F.coalesce("v", "comp").alias("rep"), F.coalesce("top", "comp").alias("comp")).groupBy("rep").agg(F.min("comp").alias("comp"))
+    # most texts of a large group are joined now; members drawn at random join most of the others
+    for turn in range(1, ROUNDS + 1):
+        pairs = written(drawn_pairs(rows, labels, turn), "drawn-pairs")
+        if pairs.isEmpty():
+            break
+        labels = relabelled(labels, verified(pairs, reps))
+
+    # all pairs that may link and are not joined yet: under one order, then those of them under the other
+    first = written(between_components(rows.where("ord = 0"), labels), "first-order")
+    held = written(first.select(F.explode(F.array("a", "b")).alias("rep")).distinct(), "first-order-texts")
+    second = between_components(rows.where("ord = 1").join(hinted(held, held.count()), "rep", "left_semi"), labels)
+    rest = written(first.join(second, ["a", "b"], "left_semi").join(tried, ["a", "b"], "left_anti"), "pairs")
+    final = relabelled(labels, verified(rest, reps)).withColumnRenamed("v", "rep")
     out = sets.select("doc_id", *equal).join(classes, equal, "left").join(final, "rep", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNull(), None).otherwise(F.coalesce("comp", "rep", "doc_id")).alias("component_id"))
 
