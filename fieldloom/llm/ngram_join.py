@@ -22,7 +22,7 @@ SHINGLE = 5
 NUMERATOR, DENOMINATOR = 75, 100  # 100 * intersection >= 75 * union
 HOT = 200  # texts from which a token counts as very frequent
 STAR_TOKENS = 3  # tokens of each text and order whose buckets give a first set of links
-ROUNDS = 4  # times that texts outside a bucket's main component meet a member of it drawn anew
+ROUNDS = 1  # times that texts outside a bucket's main component meet a member of it drawn anew
 SECOND = np.uint64(0x5851F42D4C957F2D)
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
