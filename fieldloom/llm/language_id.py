@@ -26,7 +26,7 @@ FAMILIES = {
 }
 
 WIDTH = 4096  # hashed n-gram dimensions
-MOST_TRAINING_ROWS = 4000  # bound on the labelled rows that the classifiers are fitted on
+MOST_TRAINING_ROWS = 2000  # bound on the labelled rows that the classifiers are fitted on
 UNKNOWN = "und"
 
 
@@ -62,14 +62,14 @@ def ngram_rows(column: pa.Array, width: int = WIDTH) -> np.ndarray:
 
 def fit_svm(x: np.ndarray, y: np.ndarray, c: float = 10.0, steps: int = 120) -> np.ndarray:
     """Squared-hinge linear SVM by accelerated gradient descent; y in {-1, 1}. The bias is last."""
-    x = np.hstack([x, np.ones((len(x), 1), np.float32)])
-    n, d = x.shape
+    d = x.shape[1] + 1
     share = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y < 0).sum())).astype(np.float32)
     w = z = np.zeros(d, np.float32)
     rate, t = 1.0 / (1.0 / c + 4.0), 1.0
     for _ in range(steps):
-        slack = np.maximum(0.0, 1.0 - y * (x @ z)).astype(np.float32)
-        grad = z / np.float32(c) / 10 - 2 * ((share * y * slack) @ x)
+        slack = np.maximum(0.0, 1.0 - y * (x @ z[:-1] + z[-1])).astype(np.float32)
+        push = share * y * slack
+        grad = z / np.float32(c) / 10 - 2 * np.append(push @ x, push.sum()).astype(np.float32)
         new = z - np.float32(rate) * grad
         t2 = (1 + np.sqrt(1 + 4 * t * t)) / 2
         z = new + np.float32((t - 1) / t2) * (new - w)
@@ -107,8 +107,9 @@ def fit(rows: list[tuple[str, np.ndarray]]) -> dict | None:
     langs = sorted({lang for lang, _ in rows})
     if not langs:
         return None
-    x = np.vstack([v for _, v in rows])
     lang = np.array([langs.index(k) for k, _ in rows])
+    x = np.vstack([v for _, v in rows])
+    del rows  # one copy on the driver is enough
     fams = sorted({family_of(k) for k in langs})
     of = np.array([fams.index(family_of(k)) for k in langs])
     model = {"families": fams, "top": fit_pairs(x, of[lang], fams), "within": []}
