@@ -25,37 +25,50 @@ def buckets(codes: np.ndarray) -> np.ndarray:
     return out
 
 
-def refine(text: np.ndarray, length: int) -> np.ndarray:
-    """For each suffix with ``length`` bytes ahead of it, the bucket of those bytes; buckets are in byte order."""
+def refine(text: np.ndarray, length: int, starts: np.ndarray | None = None) -> np.ndarray:
+    """For each of ``starts`` (all with room), the bucket of the ``length`` bytes from there; buckets are in byte order."""
     n = len(text) - FIRST + 1
-    codes = np.zeros(n, np.uint64)
-    for i in range(FIRST):
-        codes = (codes << np.uint64(8)) | text[i : i + n].astype(np.uint64)
-    ids, reach = buckets(codes), FIRST
+    if starts is None:
+        starts = np.arange(len(text) - length + 1)
+    steps, reach = [], FIRST
     while reach < length:
-        step = min(reach, length - reach)
-        m = len(ids) - step
-        ids = buckets((ids[:m].astype(np.uint64) << np.uint64(32)) | ids[step:].astype(np.uint64))
-        reach += step
-    return ids
+        steps.append(min(reach, length - reach))
+        reach += steps[-1]
+    # from the last round back: the suffixes whose buckets the rounds after it read
+    read = [np.zeros(n, bool)]
+    read[0][starts] = True
+    for step in reversed(steps):
+        more = read[0].copy()
+        more[step:] |= read[0][:-step]
+        read.insert(0, more)
+    at = np.flatnonzero(read[0])
+    codes = np.zeros(len(at), np.uint64)
+    for i in range(FIRST):
+        codes = (codes << np.uint64(8)) | text[at + i].astype(np.uint64)
+    ids = np.zeros(n, np.uint64)
+    ids[at] = buckets(codes)
+    for step, later in zip(steps, read[1:]):
+        at = np.flatnonzero(later)
+        ids[at] = buckets((ids[at] << np.uint64(32)) | ids[at + step])
+    return ids[starts].astype(np.int64)
 
 
 def byte_groups(blobs: list[bytes]) -> tuple:
     """Runs of a shard and, for each of their windows, its bucket; a content that recurs is sorted once."""
-    runs, contents, texts, base = [], [], [], 0
+    runs, contents = [], {}
     for blob in blobs:
         *run, count, text = unpack(blob, (*RUN, np.uint8, np.uint8))
-        run[4] = run[4] + base
-        base += len(count)
+        ends = np.cumsum(count.astype(np.int64) + WINDOW - 1).tolist()
+        data = text.tobytes()
+        number = np.array([contents.setdefault(data[a:e], len(contents)) for a, e in zip([0, *ends], ends)], np.int64)
+        run[4] = number[run[4]]
         runs.append(run)
-        contents.append(count.astype(np.int64))
-        texts.append(text)
     ids, keys, first, count, content = (np.concatenate(c) for c in zip(*runs))
-    size = np.concatenate(contents)
+    size = np.array([len(c) - WINDOW + 1 for c in contents], np.int64)
     start = np.cumsum(size + WINDOW - 1) - (size + WINDOW - 1)
-    bucket = refine(np.concatenate(texts), WINDOW)
+    bucket = refine(np.frombuffer(b"".join(contents), np.uint8), WINDOW, ragged(start, size))
     count = count.astype(np.int64)
-    return ids, keys, first, count, bucket[ragged(start[content], count)]
+    return ids, keys, first, count, bucket[ragged((np.cumsum(size) - size)[content], count)]
 
 
 def deduplicate(docs: DataFrame) -> DataFrame:
