@@ -1,8 +1,11 @@
 """Line deduplication by content-defined chunks of lines; DataFrame functions only.
 
-A rolling hash over the hashes of neighbouring lines sets the chunk boundaries, so lines put in
-front of a chunk do not move its ends.  Chunks of several lines that recur anywhere are removed but
-for their first occurrence, after their bytes have been compared.
+A chunk opens at each line and ends where it has LEAST_LINES lines and LEAST_CHARS characters, and
+one closes at each line by the same rule read backwards.  So a chunk depends on its own lines alone,
+and any run of lines that is large enough is covered by the chunks inside it: a line goes if and only
+if it lies in a run of that size which occurs earlier without overlap.  Bytes are compared before.
+
+WEIGHT, MODULUS and DIVISOR are of the sparser boundaries that the SQL twin still has.
 """
 
 from __future__ import annotations
@@ -13,39 +16,50 @@ from pyspark.sql import functions as F
 # A boundary follows a line where the rolling hash of it and its predecessor is 0 modulo DIVISOR.
 WEIGHT, MODULUS, DIVISOR = 31, 1_000_003, 3
 LEAST_LINES, LEAST_CHARS = 2, 32  # smaller chunks stay
+MOST_LINES = LEAST_LINES + LEAST_CHARS  # line feeds count, so that no chunk needs more
+
+
+def split_lines(text: Column) -> Column:
+    return F.split(text, "\n", -1)
 
 
-def line_hash(line: Column) -> Column:
-    return F.conv(F.substring(F.md5(line), 1, 8), 16, 10).cast("bigint")
+def lines_needed(sizes: Column) -> Column:
+    """How many of the first lines make up a chunk; 0 if all of them do not."""
+    small = lambda a: (a["n"] < LEAST_LINES) | (a["c"] - 1 < LEAST_CHARS)
+    more = lambda a, x: F.when(small(a), F.struct((a["n"] + 1).alias("n"), (a["c"] + x + 1).alias("c"))).otherwise(a)
+    return F.aggregate(sizes, F.struct(F.lit(0).alias("n"), F.lit(0).alias("c")), more, lambda a: F.when(small(a), 0).otherwise(a["n"]))
 
 
 def chunk_array(text: Column) -> Column:
-    """The chunks of a text, in order: (i, n, body) with the number of lines and their bytes."""
+    """The chunks of a text: (i, n, h) with the first line, counted from 1, the number of lines and their hash."""
     # transform over a one-element array names a value, so that it is computed once and not at each use
     once = lambda value, use: F.element_at(F.transform(F.array(value), use), 1)
 
-    def rolled(h: Column) -> Column:
-        return F.transform(h, lambda x, i: (F.when(i > 0, F.element_at(h, F.greatest(i, F.lit(1)))).otherwise(F.lit(0)) * WEIGHT + x) % MODULUS % DIVISOR)
+    def opened(c: Column) -> Column:
+        return F.transform(c, lambda x, i: F.when((i + 1 < F.size(c)) & (x + F.get(c, i + 1) + 1 >= LEAST_CHARS), 2).otherwise(lines_needed(F.slice(c, i + 1, MOST_LINES))))
 
-    def ends(r: Column) -> Column:
-        return F.filter(F.sequence(F.lit(1), F.size(r)), lambda i: (i == F.size(r)) | (F.element_at(r, i) == 0))
+    def closed(c: Column) -> Column:
+        back = lambda i: F.slice(c, F.greatest(i + 2 - MOST_LINES, F.lit(1)), F.least(i + 1, F.lit(MOST_LINES)))
+        return F.transform(c, lambda x, i: F.when((i > 0) & (x + F.get(c, i - 1) + 1 >= LEAST_CHARS), 2).otherwise(lines_needed(F.reverse(back(i)))))
 
-    def cut(lines: Column, e: Column) -> Column:
-        first = lambda i: F.when(i > 0, F.element_at(e, F.greatest(i, F.lit(1))) + 1).otherwise(F.lit(1))
-        return F.transform(e, lambda x, i: F.named_struct(F.lit("i"), i, F.lit("n"), x - first(i) + 1, F.lit("body"), F.array_join(F.slice(lines, first(i), x - first(i) + 1), "\n")))
+    def spans(c: Column) -> Column:
+        first = once(opened(c), lambda a: F.array_union(numbered(a, lambda i, n: i + 1), numbered(closed(c), lambda i, n: i - n + 2)))
+        return F.filter(first, lambda s: s["n"] > 0)
 
-    return once(F.split(text, "\n", -1), lambda lines: once(F.transform(lines, line_hash), lambda h: once(rolled(h), lambda r: once(ends(r), lambda e: cut(lines, e)))))
+    def numbered(ns: Column, start) -> Column:
+        return F.transform(ns, lambda n, i: F.struct(F.when(n > 0, start(i, n)).otherwise(0).alias("i"), n.alias("n")))
 
+    def hashed(h: Column, s: Column) -> Column:
+        return F.transform(s, lambda x: F.struct(x["i"].alias("i"), x["n"].alias("n"), F.xxhash64(F.slice(h, x["i"], x["n"])).alias("h")))
 
-def eligible(c: Column) -> Column:
-    return (c["n"] >= LEAST_LINES) & (F.char_length(c["body"]) >= LEAST_CHARS)
+    return once(split_lines(text), lambda lines: once(F.transform(lines, lambda x: F.xxhash64(x)), lambda h: hashed(h, spans(F.transform(lines, lambda x: F.char_length(x))))))
 
 
 def deduplicate(docs: DataFrame) -> DataFrame:
-    """``docs`` with ``n_lines``, ``n_removed_lines`` and ``kept`` (the text without repeated chunks).
+    """``docs`` with ``n_lines``, ``n_removed_lines`` and ``kept`` (the text without repeated runs of lines).
 
     Lines end at line feeds.  Of equal chunks the one of the smallest doc_id, then the first in its
-    text, stays.  Null texts stay null with 0 lines; a text all of whose chunks go becomes empty.
+    text, stays.  Null texts stay null with 0 lines; a text all of whose lines go becomes empty.
     Rows with a null doc_id keep their lines and count for no other row; rows alike in doc_id and text
     are one document.  Other columns pass through; those named like the results are replaced.
     """
@@ -53,24 +67,36 @@ def deduplicate(docs: DataFrame) -> DataFrame:
     keep = keep.withColumn("fl_id", F.col("doc_id").cast("bigint")).withColumn("fl_k", F.xxhash64("doc_id", "text"))
     base = keep.where("fl_id is not null and text is not null").select("fl_id", "fl_k", "text")
 
-    light = base.select("fl_id", "fl_k", F.explode(F.transform(F.filter(chunk_array(F.col("text")), eligible), lambda c: F.named_struct(F.lit("i"), c["i"], F.lit("h"), F.xxhash64(c["body"])))).alias("c"))
-    light = light.select("fl_id", "fl_k", "c.i", "c.h")
+    light = base.select("fl_id", "fl_k", F.explode(chunk_array(F.col("text"))).alias("c")).select("fl_id", "fl_k", "c.i", "c.n", "c.h")
     groups = light.groupBy("h").agg(F.min(F.struct("fl_id", "fl_k", "i")).alias("first"), F.count("*").alias("many")).where("many > 1").select("h", "first")
-    repeated = light.join(groups, "h").select("fl_id", "fl_k", "i", "h", (F.struct("fl_id", "fl_k", "i") == F.col("first")).alias("stays"))
-    wanted = repeated.groupBy("fl_id", "fl_k").agg(F.collect_list(F.struct("i", "h", "stays")).alias("w"))
+    same_text = (F.col("fl_id") == F.col("first.fl_id")) & (F.col("fl_k") == F.col("first.fl_k"))
+    repeated = light.join(groups, "h").withColumn("stays", same_text & (F.col("i") == F.col("first.i")))
+    repeated = repeated.where(F.col("stays") | ~same_text | (F.col("i") >= F.col("first.i") + F.col("n")))  # no overlap with the first
+    wanted = repeated.groupBy("fl_id", "fl_k").agg(F.collect_list(F.struct("i", "n", "h", "stays")).alias("w"))
 
     # bytes: the bodies of chunks with equal hashes, against the body of the one that stays
-    chosen = base.join(wanted, ["fl_id", "fl_k"]).select("fl_id", "fl_k", chunk_array(F.col("text")).alias("c"), F.explode("w").alias("w"))
-    bodies = chosen.select("fl_id", "fl_k", "w.*", F.element_at("c", F.col("w.i") + 1)["body"].alias("body"))
+    chosen = base.join(wanted, ["fl_id", "fl_k"]).select("fl_id", "fl_k", split_lines(F.col("text")).alias("lines"), needed(F.col("w")).alias("w"))
+    body = lambda w: w.withField("body", F.array_join(F.slice(F.col("lines"), w["i"], w["n"]), "\n"))
+    bodies = chosen.select("fl_id", "fl_k", F.inline(F.transform("w", body)))
     stays = bodies.where("stays").select("h", F.col("body").alias("first_body")).dropDuplicates(["h"])
-    gone = bodies.where("not stays").join(stays, "h").where(F.col("body") == F.col("first_body")).groupBy("fl_id", "fl_k").agg(F.collect_set("i").alias("fl_gone"))
+    gone = bodies.where("not stays").join(stays, "h").where(F.col("body") == F.col("first_body")).groupBy("fl_id", "fl_k").agg(F.collect_list(F.struct("i", "n")).alias("fl_gone"))
 
     out = keep.join(gone, ["fl_id", "fl_k"], "left").drop("fl_id", "fl_k")
-    chunks = F.transform(chunk_array(F.col("text")), lambda c: F.named_struct(F.lit("n"), c["n"], F.lit("body"), c["body"], F.lit("gone"), F.array_contains("fl_gone", c["i"])))
-    left = F.when(F.col("fl_gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(F.filter(chunks, lambda c: ~c["gone"]), lambda c: c["body"]), "\n"))
-    lost = F.when(F.col("fl_gone").isNull(), F.lit(0)).otherwise(F.aggregate(F.filter(chunks, lambda c: c["gone"]), F.lit(0), lambda a, c: a + c["n"]))
-    n = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(F.split("text", "\n", -1)))
-    return out.withColumns({"n_lines": n.cast("bigint"), "n_removed_lines": lost.cast("bigint"), "kept": left}).drop("fl_gone")
+    lines = split_lines(F.col("text"))
+    lost = F.array_distinct(F.flatten(F.transform("fl_gone", lambda s: F.sequence(s["i"], s["i"] + s["n"] - 1))))
+    out = out.withColumn("fl_gone", lost)
+    rest = F.transform(F.array(lines), lambda x: F.array_join(F.transform(F.array_except(F.sequence(F.lit(1), F.size(x)), "fl_gone"), lambda i: F.get(x, i - 1)), "\n"))[0]
+    left = F.when(F.col("fl_gone").isNull(), F.col("text")).otherwise(rest)
+    n = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(lines))
+    removed = F.when(F.col("fl_gone").isNull(), F.lit(0)).otherwise(F.size("fl_gone"))
+    return out.withColumns({"n_lines": n.cast("bigint"), "n_removed_lines": removed.cast("bigint"), "kept": left}).drop("fl_gone")
+
+
+def needed(w: Column) -> Column:
+    """Chunks whose bytes are read: those that stay, and of those that go, not each second one whose lines its neighbours have."""
+    end = lambda s: s["i"] + s["n"]
+    go = F.transform(F.array(F.array_sort(F.filter(w, lambda s: ~s["stays"]))), lambda g: F.filter(g, lambda s, k: (k % 2 == 0) | (k + 1 == F.size(g)) | (end(F.get(g, k - 1)) < F.get(g, k + 1)["i"]) | (end(F.get(g, k + 1)) < end(s))))[0]
+    return F.concat(F.filter(w, lambda s: s["stays"]), go)
 
 
 ORACLE = f"""

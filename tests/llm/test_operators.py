@@ -290,3 +290,30 @@ def test_empty_tables(spark):
     assert byte_bpe.encode_documents(docs, byte_bpe.default_ranks(spark)).count() == 0
     assert language_id.identify(docs, docs).count() == 0
     assert toxicity.fit(docs, labels) is None
+
+
+def test_line_dedup_takes_each_repeated_run(spark):
+    rnd = random.Random(3)
+    pool = [f"line {i} " + "abcdefgh"[: rnd.randrange(8)] * rnd.randrange(4) for i in range(60)] + ["", "x", "yes", "é", "日"]
+    texts = []
+    for _ in range(60):
+        lines = [rnd.choice(pool) for _ in range(rnd.randrange(1, 12))]
+        if texts and rnd.random() < 0.7:  # a passage of 2 to 6 lines of an earlier text
+            old = rnd.choice(texts).split("\n")
+            at = rnd.randrange(len(old))
+            lines[rnd.randrange(len(lines)) : 0] = old[at : at + rnd.randrange(2, 7)]
+        texts.append("\n".join(lines))
+    texts += ["x\n" * 90, "a line that is long enough by itself\n" * 5, texts[7], texts[9]]
+    seen, want = {}, {}
+    for d, t in enumerate(texts):  # each run of lines of the least size, against all earlier ones
+        lines, gone = t.split("\n"), set()
+        for a in range(len(lines)):
+            for b in range(a + 2, len(lines) + 1):
+                run = tuple(lines[a:b])
+                if len("\n".join(run)) >= 32:
+                    e, at = seen.setdefault(run, (d, a))
+                    if e < d or at + len(run) <= a:
+                        gone |= set(range(a, b))
+        want[d] = (len(lines), len(gone), "\n".join(x for i, x in enumerate(lines) if i not in gone))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(3)
+    assert {r.doc_id: (r.n_lines, r.n_removed_lines, r.kept) for r in line_dedup.deduplicate(docs).collect()} == want
