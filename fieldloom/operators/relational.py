@@ -31,8 +31,9 @@ SQL: dict[str, str | tuple[str, str]] = {
     "rel_r20_touched": ORD + "SELECT b, s FROM b WHERE EXISTS (SELECT 1 FROM {customer} c WHERE c.c_custkey = b.b)",
     "rel_r20_untouched": ORD + "SELECT b, s FROM b WHERE NOT EXISTS (SELECT 1 FROM {supplier} c WHERE c.s_suppkey = b.b)",
     "rel_r21_boxes_by_chunks": "WITH x AS (SELECT r_regionkey AS id, r_regionkey * 130 AS lo, r_regionkey * 170 + 60 AS hi FROM {region}), c AS (SELECT DISTINCT CAST(floor(p_partkey / 64) AS BIGINT) AS c FROM {part}) SELECT x.id, c.c FROM x JOIN c ON c.c * 64 <= x.hi AND c.c * 64 + 63 >= x.lo",
-    "rel_r22_as_of": ("SELECT k, max_by(v, t) FILTER (WHERE t <= k) AS v FROM (SELECT n.n_nationkey * 100 + 50 AS k, e.event_id AS t, e.value AS v FROM {nation} n JOIN {events} e ON e.event_id <= n.n_nationkey * 100 + 50 AND e.event_id > n.n_nationkey * 100 - 50) GROUP BY k", "SELECT n_nationkey * 100 + 50 AS k, arg_max(e.value, e.event_id) AS v FROM {nation} n JOIN {events} e ON e.event_id <= n_nationkey * 100 + 50 AND e.event_id > n_nationkey * 100 - 50 GROUP BY 1"),
-    "rel_r23_interval_join": "SELECT a.event_id AS a, b.event_id AS b FROM {events} a JOIN {events} b ON CAST(floor(a.event_id / 10) AS BIGINT) = CAST(floor(b.event_id / 10) AS BIGINT) AND b.event_id - a.event_id BETWEEN 1 AND 3 WHERE a.event_type = 'purchase'",
+    # each event goes to the first mark at or after it; a mark without one takes what the mark before it has
+    "rel_r22_as_of": ("WITH m AS (SELECT n_nationkey * 100 + 50 AS k FROM {nation}), a AS (SELECT array_sort(collect_set(k)) AS ks FROM m), e AS (SELECT array_min(filter(ks, x -> x >= event_id)) AS k, max_by(struct(value), event_id) AS v FROM {events} CROSS JOIN a WHERE event_id <= element_at(ks, -1) GROUP BY 1) SELECT m.k, last_value(e.v) IGNORE NULLS OVER (ORDER BY m.k).value AS v FROM m LEFT JOIN e ON m.k = e.k", "SELECT n_nationkey * 100 + 50 AS k, e.value AS v FROM {nation} n ASOF LEFT JOIN {events} e ON n_nationkey * 100 + 50 >= e.event_id"),
+    "rel_r23_interval_join": ("SELECT a.event_id AS a, b.event_id AS b FROM (SELECT event_id, explode(array(CAST(floor(event_id / 10) AS BIGINT), CAST(floor(event_id / 10) AS BIGINT) + 1)) AS bin FROM {events} WHERE event_type = 'purchase') a JOIN {events} b ON a.bin = CAST(floor(b.event_id / 10) AS BIGINT) AND b.event_id - a.event_id BETWEEN 1 AND 3", "SELECT a.event_id AS a, b.event_id AS b FROM {events} a JOIN {events} b ON b.event_id BETWEEN a.event_id + 1 AND a.event_id + 3 WHERE a.event_type = 'purchase'"),
     "rel_r24_star": "SELECT r_name, CAST(sum(CAST(l_extendedprice AS DECIMAL(18,2))) AS DOUBLE) AS total FROM {lineitem} JOIN {supplier} ON l_suppkey = s_suppkey JOIN {nation} ON s_nationkey = n_nationkey JOIN {region} ON n_regionkey = r_regionkey GROUP BY r_name",
     "rel_r25_hash_agg": ORD + "SELECT count(*) AS n, CAST(sum(q) AS BIGINT) AS s1, CAST(sum(q * q) AS BIGINT) AS s2 FROM q",
     "rel_r26_array_agg": (ORD + "SELECT b, array_join(transform(array_sort(collect_list(q)), x -> CAST(x AS STRING)), ',') AS qs FROM q WHERE b < 5 GROUP BY b", ORD + "SELECT b, string_agg(CAST(q AS VARCHAR), ',' ORDER BY q) AS qs FROM q WHERE b < 5 GROUP BY b"),

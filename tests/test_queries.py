@@ -43,3 +43,14 @@ def test_entry_and_registry(spark):
     assert entry.entry(spark).count() == 3
     for module in (workloads, relational, planner, events):
         assert set(module.ORACLES) <= set(module.QUERIES)
+
+
+def test_event_joins_keep_all_rows(spark, duck):
+    events_ = {i: (kind, v) for i, kind, v in duck.sql("select event_id, event_type, value from events").fetchall()}
+    marks = [n * 100 + 50 for (n,) in duck.sql("select n_nationkey from nation").fetchall()]
+    want = {k: events_[max(i for i in events_ if i <= k)][1] for k in marks}
+    assert {r.k: r.v for r in relational.run(spark, SF, "rel_r22_as_of").collect()} == want
+    pairs = Counter((a, a + d) for a, (kind, _) in events_.items() if kind == "purchase" for d in (1, 2, 3) if a + d in events_)
+    assert Counter((r.a, r.b) for r in relational.run(spark, SF, "rel_r23_interval_join").collect()) == pairs
+    assert Counter(duck.sql(entry.oracle_sql()["rel_r23_interval_join"]).fetchall()) == pairs
+    assert dict(duck.sql(entry.oracle_sql()["rel_r22_as_of"]).fetchall()) == want
