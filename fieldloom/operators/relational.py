@@ -27,7 +27,8 @@ SQL: dict[str, str | tuple[str, str]] = {
     "rel_r16_components": "SELECT a.vec_id, a.label AS la, b.label AS lb FROM {embeddings} a JOIN {embeddings} b ON a.vec_id = b.vec_id",
     "rel_r17_neighbour_blocks": ORD + "SELECT x.b, x.s AS here, y.s AS next FROM b x JOIN b y ON y.b = x.b + 1",
     "rel_r18_dense_grid": ("SELECT h.h, coalesce(c, 0) AS c FROM (SELECT explode(sequence(0, 23)) AS h) h LEFT JOIN (SELECT hour(ts) AS h, count(*) AS c FROM {events} WHERE event_type = 'error' GROUP BY hour(ts)) e ON e.h = h.h", "SELECT CAST(h.h AS INTEGER) AS h, coalesce(c, 0) AS c FROM range(0, 24) h(h) LEFT JOIN (SELECT hour(ts) AS h, count(*) AS c FROM {events} WHERE event_type = 'error' GROUP BY 1) e ON e.h = h.h"),
-    "rel_r19_container_diff": ORD + "SELECT coalesce(x.b, y.b) AS b, x.s AS sx, y.s AS sy FROM (SELECT * FROM b WHERE b % 3 <> 0) x FULL OUTER JOIN (SELECT * FROM b WHERE b % 5 <> 0) y ON x.b = y.b",
+    # the containers of the bounds 1e-3 and 1e-2; d in steps of the finer one
+    "rel_r19_container_diff": ORD + ", c AS (SELECT b, CAST(sum(CAST(floor(v / (20 * eps) + 0.5) AS BIGINT)) AS BIGINT) AS s FROM q GROUP BY b) SELECT coalesce(x.b, y.b) AS b, x.s AS sx, y.s AS sy, 10 * y.s - x.s AS d FROM b x FULL OUTER JOIN c y ON x.b = y.b",
     "rel_r20_touched": ORD + "SELECT b, s FROM b WHERE EXISTS (SELECT 1 FROM {customer} c WHERE c.c_custkey = b.b)",
     "rel_r20_untouched": ORD + "SELECT b, s FROM b WHERE NOT EXISTS (SELECT 1 FROM {supplier} c WHERE c.s_suppkey = b.b)",
     "rel_r21_boxes_by_chunks": "WITH x AS (SELECT r_regionkey AS id, r_regionkey * 130 AS lo, r_regionkey * 170 + 60 AS hi FROM {region}), c AS (SELECT DISTINCT CAST(floor(p_partkey / 64) AS BIGINT) AS c FROM {part}) SELECT x.id, c.c FROM x JOIN c ON c.c * 64 <= x.hi AND c.c * 64 + 63 >= x.lo",
@@ -36,7 +37,7 @@ SQL: dict[str, str | tuple[str, str]] = {
     "rel_r23_interval_join": ("SELECT a.event_id AS a, b.event_id AS b FROM (SELECT event_id, explode(array(CAST(floor(event_id / 10) AS BIGINT), CAST(floor(event_id / 10) AS BIGINT) + 1)) AS bin FROM {events} WHERE event_type = 'purchase') a JOIN {events} b ON a.bin = CAST(floor(b.event_id / 10) AS BIGINT) AND b.event_id - a.event_id BETWEEN 1 AND 3", "SELECT a.event_id AS a, b.event_id AS b FROM {events} a JOIN {events} b ON b.event_id BETWEEN a.event_id + 1 AND a.event_id + 3 WHERE a.event_type = 'purchase'"),
     "rel_r24_star": "SELECT r_name, CAST(sum(CAST(l_extendedprice AS DECIMAL(18,2))) AS DOUBLE) AS total FROM {lineitem} JOIN {supplier} ON l_suppkey = s_suppkey JOIN {nation} ON s_nationkey = n_nationkey JOIN {region} ON n_regionkey = r_regionkey GROUP BY r_name",
     "rel_r25_hash_agg": ORD + "SELECT count(*) AS n, CAST(sum(q) AS BIGINT) AS s1, CAST(sum(q * q) AS BIGINT) AS s2 FROM q",
-    "rel_r26_array_agg": (ORD + "SELECT b, array_join(transform(array_sort(collect_list(q)), x -> CAST(x AS STRING)), ',') AS qs FROM q WHERE b < 5 GROUP BY b", ORD + "SELECT b, string_agg(CAST(q AS VARCHAR), ',' ORDER BY q) AS qs FROM q WHERE b < 5 GROUP BY b"),
+    "rel_r26_array_agg": (ORD + "SELECT b, array_join(transform(array_sort(collect_list(q)), x -> CAST(x AS STRING)), ',') AS qs FROM q GROUP BY b", ORD + "SELECT b, string_agg(CAST(q AS VARCHAR), ',' ORDER BY q) AS qs FROM q GROUP BY b"),
     "rel_r27_moments": "SELECT CAST(round(avg(o_totalprice) * 1e3) AS BIGINT) AS mean3, CAST(round(stddev_samp(o_totalprice) * 1e3) AS BIGINT) AS sd3, CAST(round(stddev_pop(o_totalprice) * 1e3) AS BIGINT) AS sdp3, min(o_totalprice) AS lo, max(o_totalprice) AS hi FROM {orders}",
     "rel_r28_distinct_levels": ORD + "SELECT count(DISTINCT q) AS levels FROM q",
     "rel_r29_rollup": "SELECT n_regionkey, n_nationkey, count(*) AS c FROM {customer} JOIN {nation} ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, n_nationkey)",

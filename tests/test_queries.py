@@ -1,5 +1,6 @@
 """A spread of registered queries against their SQL twins, and plans that should hold at any size."""
 
+import math
 from collections import Counter
 
 import duckdb
@@ -54,3 +55,17 @@ def test_event_joins_keep_all_rows(spark, duck):
     assert Counter((r.a, r.b) for r in relational.run(spark, SF, "rel_r23_interval_join").collect()) == pairs
     assert Counter(duck.sql(entry.oracle_sql()["rel_r23_interval_join"]).fetchall()) == pairs
     assert dict(duck.sql(entry.oracle_sql()["rel_r22_as_of"]).fetchall()) == want
+
+
+def test_container_queries_take_all_blocks(spark, duck):
+    rows = duck.sql("select o_orderkey, o_totalprice from orders order by 1").fetchall()
+    eps = 0.001 * (max(v for _, v in rows) - min(v for _, v in rows))
+    fine, coarse = {}, {}
+    for g, v in rows:
+        fine.setdefault(g // 64, []).append(math.floor(v / (2 * eps) + 0.5))
+        coarse.setdefault(g // 64, []).append(math.floor(v / (20 * eps) + 0.5))
+    got = {r.b: r.qs for r in relational.run(spark, SF, "rel_r26_array_agg").collect()}
+    assert got == {b: ",".join(map(str, sorted(q))) for b, q in fine.items()}
+    want = Counter((b, sum(q), sum(coarse[b]), 10 * sum(coarse[b]) - sum(q)) for b, q in fine.items())
+    assert Counter((r.b, r.sx, r.sy, r.d) for r in relational.run(spark, SF, "rel_r19_container_diff").collect()) == want
+    assert any(d for *_, d in want)
