@@ -11,7 +11,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fieldloom.model import CODECS, QUANT, RESID, VALUE, Layout, require
+from fieldloom.model import CODECS, QUANT, RESID, VALUE, Layout, UnsupportedStage, require
 from fieldloom.operators.chunks import HEAD, KEY, carries, flat_kernel, kernel, padded, place, prefix_with_carry, with_faces
 from fieldloom.operators.codecs import partial_decompress, to_points
 
@@ -64,13 +64,15 @@ def derivatives(container: DataFrame, codec: str, layout: Layout, stage: str, an
             inside = sum(shifted(p, a, 1) + shifted(p, a, -1) for a in axes) - 2 * n * shifted(p, 0, 0)
             across = sum((shifted(m, a, 1) - shifted(m, a, 0)) + (shifted(m, a, -1) - shifted(m, a, 0)) for a in axes)
             return d, inside + across
-    else:
+    elif stage == QUANT:
         base = partial_decompress(container, codec, layout, QUANT, anchor)
         faced = with_faces(base, ["data"], layout, lambda _: [unit(a, n, s) for a in axes for s in (1, -1)])
 
         def step(arrays):
             q = arrays[0]
             return [shifted(q, a, 1) - shifted(q, a, -1) for a in axes], sum(shifted(q, a, 1) + shifted(q, a, -1) for a in axes) - 2 * n * shifted(q, 0, 0)
+    else:
+        raise UnsupportedStage(f"integers of {codec} have no {stage}; value_derivatives() starts from values")
 
     def run(row):
         arrays, lo, shape, dims = padded(row, layout)
@@ -95,6 +97,8 @@ def grid_derivatives(container: DataFrame, codec: str, layout: Layout, stage: st
     if not CODECS[codec].flat:
         return derivatives(container, codec, layout, stage, anchor)
     require(codec, stage, "gradient")
+    if stage != QUANT:
+        raise UnsupportedStage(f"integers of {codec} have no {stage}; value_derivatives() starts from values")
     from fieldloom.operators.chunks import to_chunks
     from fieldloom.operators.codecs import compress_chunks
 
@@ -165,3 +169,8 @@ def value_derivatives(container: DataFrame, codec: str, layout: Layout, dims: tu
         total = both if total is None else total + both
     out = out.where(" and ".join(f"lo{a} is not null and hi{a} is not null" for a in range(n)))
     return out.select("field", "i", "j", "k", *[((F.col(f"hi{a}") - F.col(f"lo{a}")) / 2).alias("dx dy dz".split()[a]) for a in range(n)], (total - 2.0 * n * F.col("v")).alias("lap"))
+
+
+def value_parts(d: DataFrame, ndim: int) -> DataFrame:
+    """value_derivatives() as a component for divergence() and curl(): derivatives in d0 to d2, with 1 for their scale."""
+    return d.select("field", F.lit(1.0).alias("eps"), "i", "j", "k", *[(F.col("dx dy dz".split()[a]) if a < ndim else F.lit(0.0)).alias(f"d{a}") for a in range(3)], "lap")

@@ -129,3 +129,18 @@ def vector_sql(fields: list[str], rel: float, kind: str, sign: str = "paper") ->
     else:
         cols = "x21 - x12 AS curl_x, x02 - x20 AS curl_y, x10 - x01 AS curl_z"
     return f"WITH {ctes} SELECT i, j, k, {cols} FROM {join}"
+
+
+def vector_value_sql(fields: list[str], rel: float, kind: str) -> str:
+    """Divergence and curl of the decompressed doubles."""
+    n = FIELDS[fields[0]].ndim
+    ctes = ", ".join(
+        f"{base(f, rel, str(c))}, v{c} AS (SELECT i, j, k, eps, CAST(q AS DOUBLE) * (2 * eps) AS v FROM q{c}), s{c} AS ({neighbours(n, 'v', f'v{c}')}), t{c} AS (SELECT i, j, k, {', '.join(f'(h{a} - l{a}) / 2 AS x{c}{a}' for a in range(n))} FROM s{c} WHERE {inner(n)})"
+        for c, f in enumerate(fields)
+    )
+    join = " ".join(["t0", *(f"JOIN t{c} USING (i, j, k)" for c in range(1, len(fields)))])
+    if kind == "div":
+        cols = " + ".join(f"x{a}{a}" for a in range(n)) + " AS result"
+    else:
+        cols = "x01 - x10 AS result" if n == 2 else "x21 - x12 AS curl_x, x02 - x20 AS curl_y, x10 - x01 AS curl_z"
+    return f"WITH {ctes} SELECT i, j, k, {cols} FROM {join}"

@@ -7,6 +7,8 @@ import duckdb
 import pytest
 
 import __spark_entry__ as entry
+from fieldloom.model import UnsupportedStage
+from fieldloom.operators import differential as dif
 from fieldloom.operators import relational
 from fieldloom.plans import planner, workloads
 from fieldloom.streaming import events
@@ -69,3 +71,28 @@ def test_container_queries_take_all_blocks(spark, duck):
     want = Counter((b, sum(q), sum(coarse[b]), 10 * sum(coarse[b]) - sum(q)) for b, q in fine.items())
     assert Counter((r.b, r.sx, r.sy, r.d) for r in relational.run(spark, SF, "rel_r19_container_diff").collect()) == want
     assert any(d for *_, d in want)
+
+
+VALUE_VECTORS = ["div2_lorenzo_value_emb_uv", "curl2_midrange_value_emb_uv", "div3_mean1d_value_emb3", "curl3_blockdiff_value_emb3", "curl3_meannd_value_emb3", "div2_chain1d_value_emb_uv"]
+
+
+@pytest.mark.parametrize("name", VALUE_VECTORS)
+def test_vector_operations_of_values(spark, duck, name):
+    df, want = entry.queries()[name](spark, SF), duck.sql(entry.oracle_sql()[name])
+    rows = duck.sql(f"select {', '.join(df.columns)} from want").fetchall()
+    assert rows and Counter(repr(tuple(r)) for r in df.collect()) == Counter(map(repr, rows))
+
+
+def test_each_supported_vector_stage_is_registered(spark):
+    for codec, operation, stage in (tuple(r) for r in planner.stage_support(spark, SF).collect()):
+        if operation in ("divergence", "curl"):
+            for n, where in ((2, "emb_uv"), (3, "emb3")):
+                assert f"{operation[:3] if operation == 'divergence' else 'curl'}{n}_{codec}_{stage.lower()}_{where}" in entry.queries()
+
+
+def test_integer_derivatives_refuse_values(spark):
+    f = workloads.FIELDS["emb_u"]
+    for codec in ("meannd", "mean1d"):
+        c = workloads.packed(f, codec, spark, SF)
+        with pytest.raises(UnsupportedStage):
+            dif.grid_derivatives(c, codec, f.layout(workloads.CODECS[codec].flat), "VALUE", (500, 32), f.layout())
