@@ -1,10 +1,11 @@
 """N-gram Jaccard join with several global token orders, reduced to link components.
 
-Two texts that link share a token of their prefixes under every global order of tokens; a pair is
-compared only if it does so under each of two orders.  Both orders put tokens that no other text has
-first and very frequent ones last.  Equal sets are joined before all else.  Links to the most central
-text of each bucket come next; after them only pairs between different components are left to compare,
-so a group of near copies costs its size and not its square.
+Two texts that link share a token of their prefixes under every global order of tokens.  Both orders
+put tokens that no other text has first and very frequent ones last.  Equal sets are joined before all
+else.  Links to the most central text of each bucket come next, then links to members drawn anew; these
+pairs share one bucket only, of either order, and go to verification without the test under both.  After
+them only pairs between different components are left, and these are compared only if they share a prefix
+token under each of the two orders; so a group of near copies costs its size and not its square.
 """
 
 from __future__ import annotations
