@@ -63,12 +63,14 @@ def named_literals(text: str) -> list[tuple[int, int, str, float]]:
     while m := TARGET.search(text, at):
         at = m.end()
         parts: list[tuple[int, int, str]] = []
+        referred: set[tuple[int, int]] = set()
         pos = at
         while t := TERM.match(text, pos):
             pos = t.end()
             group = next(i for i in (1, 2, 3, 4) if t.group(i) is not None)
             if group == 3 or group == 4 and t[group] in known:
                 parts += known.get(t[group], [])
+                referred |= {p[:2] for p in known.get(t[group], [])}
             else:
                 parts.append((t.start(group), t.end(group), t[group]))
             j = JOIN.match(text, pos)
@@ -77,9 +79,12 @@ def named_literals(text: str) -> list[tuple[int, int, str, float]]:
             pos = j.end()
         if not parts:
             continue
-        if len(parts) > 64:  # a chain of self-references keeps its last literals only
-            parts = parts[-64:]
         name = m[1]
+        if len(parts) > 64:
+            parts = list(dict.fromkeys(parts))
+            if any(p[:2] in referred for p in known.get(name, [])):  # a chain of self-references carries its last literals only
+                carried = [p for p in parts if p[:2] in referred][-64:]
+                parts = [p for p in parts if p[:2] not in referred or p in carried]
         known[name] = parts
         weight = name_weight(name)
         if weight:

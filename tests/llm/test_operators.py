@@ -317,3 +317,12 @@ def test_line_dedup_takes_each_repeated_run(spark):
         want[d] = (len(lines), len(gone), "\n".join(x for i, x in enumerate(lines) if i not in gone))
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(3)
     assert {r.doc_id: (r.n_lines, r.n_removed_lines, r.kept) for r in line_dedup.deduplicate(docs).collect()} == want
+
+
+def test_secret_scan_keeps_each_literal_of_a_statement():
+    literals = [f"Zx{i}kQ9p" for i in range(90)]
+    text = "part = " + " + ".join(f'"{x}"' for x in literals) + "\npassword = part + '7Tz'\n"
+    want = {text.index(x) for x in literals} | {text.index("7Tz")}
+    assert want <= {a for a, *_ in secret_scan.named_literals(text)}
+    chain = 'token = "Q9xZ81kP"\n' + "".join(f"token = token + token + 'u{i}Xz'\n" for i in range(3000))
+    assert len(secret_scan.named_literals(chain)) == 3001
