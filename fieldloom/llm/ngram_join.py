@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import BROADCAST_ROWS, hinted, mix64, pieces, text_buffers, written
-from .rolling import Hasher, full_windows, words
+from .rolling import Hasher, full_windows, word_hashes, words
 from .sketch import Sketch, bits_for, merged
 
 SHINGLE = 5
@@ -24,6 +24,8 @@ NUMERATOR, DENOMINATOR = 75, 100  # 100 * intersection >= 75 * union
 HOT = 200  # texts from which a token counts as very frequent
 STAR_TOKENS = 3  # tokens of each text and order whose buckets give a first set of links
 ROUNDS = 1  # times that texts outside a bucket's main component meet a member of it drawn anew
+RECENT = 4  # shared tokens that the row of a very frequent token remembers from before it
+SPLIT_ROWS = 5000  # rows of a token that meet the texts outside its main component in one piece
 SECOND = np.uint64(0x5851F42D4C957F2D)
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
@@ -40,10 +42,9 @@ class Shingler:
         raw = LOWER[raw]
         starts, ends, bounds = words(raw, offsets)
         h = self.hasher
-        units = h.stretches(h.prefix(raw), starts, ends)
-        prefix = h.prefix(units)
+        prefix = h.prefix(word_hashes(raw, starts, ends))
         texts = len(offsets) - 1
-        n = max(0, len(units) - SHINGLE + 1)
+        n = max(0, len(starts) - SHINGLE + 1)
         at = np.flatnonzero(full_windows(bounds, SHINGLE, n))
         doc = np.searchsorted(bounds, at, side="right") - 1
         token = h.stretches(prefix, at, at + SHINGLE)
@@ -109,10 +110,12 @@ def binary_buffers(column: pa.Array):
 
 
 def prefixes(reps: DataFrame) -> DataFrame:
-    """(ord, token, rep, n, pos, u, k): the prefix tokens of each set under each order that another set may share.
+    """(ord, token, rep, n, pos, u, k, recent): the prefix tokens of each set under each order that another set may share.
 
     ``pos`` counts all tokens before it, ``u`` is the number of tokens that no other set has, and ``k``
-    numbers the rows of a set and order.  Order 2 lists very frequent tokens, for first links only.
+    numbers the rows of a set and order.  ``recent`` holds, for a very frequent token, the listed tokens
+    just before it: two sets with one of these in common have met there already.  Order 2 lists very
+    frequent tokens, for first links only.
     """
 
     def keys_of(batches):
@@ -124,6 +127,8 @@ def prefixes(reps: DataFrame) -> DataFrame:
     shared = merged(reps.select("tokens"), keys_of, bits_for(size))
     hot = merged(reps.select("tokens"), keys_of, min(24, bits_for(size)), HOT)
 
+    names = ["ord", "token", "rep", "n", "pos", "u", "k", "recent"]
+
     def run(batches):
         twice, often = Sketch(*shared.value).seen, Sketch(*hot.value).seen
         for whole in batches:
@@ -136,9 +141,15 @@ def prefixes(reps: DataFrame) -> DataFrame:
                 begin = np.cumsum(n) - n
                 # any partner shares at least the share's part of the set
                 length = n - -(-n * NUMERATOR // DENOMINATOR) + 1
+
                 def listed(o, at, place, star):
                     r = row[at]
-                    return pa.RecordBatch.from_arrays([pa.array(np.full(len(at), o, np.int32)), pa.array(token[at].view(np.int64)), b.column("rep").take(pa.array(r)), pa.array(n[r]), pa.array(place), pa.array(own[r]), pa.array(star)], names=["ord", "token", "rep", "n", "pos", "u", "k"])
+                    many = np.where(kind[at] > 1, np.minimum(star, RECENT), 0) if o < 2 else np.zeros(len(at), np.int64)
+                    ends = np.cumsum(many)
+                    before = np.repeat(np.arange(len(at)) - many - (ends - many), many) + np.arange(int(many.sum()))
+                    recent = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), pa.array(token[at][before].view(np.int64)))
+                    columns = [np.full(len(at), o, np.int32), token[at].view(np.int64), b.column("rep").take(pa.array(r)), n[r], place, own[r], star, recent]
+                    return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c) for c in columns], names=names)
 
                 for o, key in enumerate((token, mix64(token ^ SECOND))):
                     order = np.lexsort((key, kind, row))
@@ -153,7 +164,7 @@ def prefixes(reps: DataFrame) -> DataFrame:
                 keep = place < STAR_TOKENS
                 yield listed(2, at[keep], place[keep], place[keep])
 
-    out = written(reps.mapInArrow(run, "ord int, token bigint, rep bigint, n bigint, pos bigint, u bigint, k bigint"), "prefixes")
+    out = written(reps.mapInArrow(run, "ord int, token bigint, rep bigint, n bigint, pos bigint, u bigint, k bigint, recent array<bigint>"), "prefixes")
     shared.destroy()
     hot.destroy()
     return out
@@ -218,15 +229,21 @@ def fits():
 
 
 def between_components(rows: DataFrame, labels: DataFrame) -> DataFrame:
-    """Distinct pairs (a, b) of different components that share a prefix token of one order, places permitting."""
+    """Distinct pairs (a, b) of different components that share a prefix token of one order, places permitting.
+
+    A pair comes from the first very frequent token that it shares and not from the later ones, and the
+    rows of a very frequent token are dealt over many tasks.
+    """
     rows = with_components(rows, labels)
     # the component with most of a bucket needs no pairs within it: the others meet it and each other
-    main = rows.groupBy("token", "comp").agg(F.count("*").alias("c")).groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("token", "main")
+    per = rows.groupBy("token", "comp").agg(F.count("*").alias("c")).groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("main"), F.count("*").alias("comps"), F.sum("c").alias("m"))
+    main = per.where("comps > 1").select("token", "main", F.ceil(F.col("m") / SPLIT_ROWS).cast("int").alias("pieces"))
     rows = rows.join(main, "token")
-    few = rows.where("comp <> main").select("token", "main", *(F.col(c).alias(f"{c}1") for c in ("rep", "comp", "n", "pos")))
-    all_ = rows.select("token", *(F.col(c).alias(f"{c}2") for c in ("rep", "comp", "n", "pos")))
-    test = (F.col("comp1") != F.col("comp2")) & ((F.col("comp2") == F.col("main")) | (F.col("rep1") < F.col("rep2"))) & fits()
-    return few.join(all_, "token").where(test).select(F.least("rep1", "rep2").alias("a"), F.greatest("rep1", "rep2").alias("b")).distinct()
+    side = ("rep", "comp", "n", "pos", "recent")
+    few = rows.where("comp <> main").select("token", "main", F.explode(F.sequence(F.lit(0), F.col("pieces") - 1)).alias("piece"), *(F.col(c).alias(f"{c}1") for c in side))
+    all_ = rows.select("token", F.pmod(F.hash("rep"), F.col("pieces")).alias("piece"), *(F.col(c).alias(f"{c}2") for c in side))
+    test = (F.col("comp1") != F.col("comp2")) & ((F.col("comp2") == F.col("main")) | (F.col("rep1") < F.col("rep2"))) & fits() & ~F.arrays_overlap("recent1", "recent2")
+    return few.join(all_, ["token", "piece"]).where(test).select(F.least("rep1", "rep2").alias("a"), F.greatest("rep1", "rep2").alias("b")).distinct()
 
 
 def drawn_pairs(rows: DataFrame, labels: DataFrame, turn: int) -> DataFrame:

@@ -2,6 +2,8 @@
 
 All texts of a batch lie end to end in one buffer of units (bytes, or word hashes).  Window hashes
 come from prefix sums of a polynomial modulo 2**64, so a window costs the same whatever its length.
+Such a polynomial is weak over long stretches of two units (it loses bits with each doubling), so it
+serves windows of at most 50 units only; words of any length are hashed by place-dependent scrambles.
 """
 
 from __future__ import annotations
@@ -72,6 +74,24 @@ def words(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return starts, ends, np.searchsorted(starts, offsets)
 
 
+def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, which: int = 0) -> np.ndarray:
+    """A hash of each word's bytes: its blocks of eight bytes, each scrambled with its place, added up."""
+    if not len(starts):
+        return np.zeros(0, np.uint64)
+    room = np.concatenate([raw, np.zeros(8, np.uint8)])
+    eight = np.ndarray(len(raw) + 1, "<u8", room, 0, (1,))  # the eight bytes from each place on
+    size = ends - starts
+    blocks = -(-size // 8)
+    first = np.cumsum(blocks) - blocks
+    k = np.arange(int(blocks.sum())) - np.repeat(first, blocks)
+    value = eight[np.repeat(starts, blocks) + 8 * k]
+    left = np.repeat(size, blocks) - 8 * k
+    short = np.flatnonzero(left < 8)
+    value[short] &= (np.uint64(1) << (8 * left[short]).astype(np.uint64)) - np.uint64(1)
+    value = mix64(mix64(value ^ np.uint64(SEEDS[which])) + k.astype(np.uint64) * np.uint64(BASES[which]))
+    return mix64(np.add.reduceat(value, first) + size.astype(np.uint64))
+
+
 def full_windows(bounds: np.ndarray, size: int, n: int) -> np.ndarray:
     """For each of ``n`` window starts, whether the window ends inside the text it starts in."""
     ends = np.repeat(bounds[1:], np.diff(bounds))
