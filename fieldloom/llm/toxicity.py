@@ -20,6 +20,7 @@ from .common import pieces, wider, written
 
 TOKEN = re.compile(r"[^\W\d_]+")
 MOST_TOXIC, MOST_CLEAN = 8000, 12000  # bounds on the labelled rows that the model is fitted on
+FOLDS = 5  # parts of the sample, each scored by a lexicon of the others when the curve is fitted
 PRIOR_SHARE = 0.1  # the prior weighs this share of all observed tokens
 LEAST_Z = 3.0  # tokens whose log-odds are fewer standard deviations from 0 score 0
 DRIFT = 0.25  # subtracted from each token's score, so that scores fall on average
@@ -27,24 +28,28 @@ LEAST_SEGMENT = 1.0
 
 
 def maximal_segments(values: list[float]) -> list[tuple[float, int, int]]:
-    """All maximal-scoring segments (score, first, last), found in one left-to-right scan."""
-    stack: list[tuple[float, float, int, int]] = []  # (total before, total after, first, last)
+    """All maximal-scoring segments (score, first, last), found in one left-to-right scan.
+
+    Each open segment keeps the place of the nearest one below it that starts from a lower total, so
+    the search for that one jumps over all segments in between: linear time, whatever the scores.
+    """
+    stack: list[tuple[float, float, int, int, int]] = []  # (total before, total after, first, last, lower segment)
     total = 0.0
     for i, v in enumerate(values):
         before, total = total, total + v
         if v <= 0:
             continue
-        seg = (before, total, i, i)
+        start, first, below = before, i, len(stack) - 1
         while True:
-            j = len(stack) - 1
-            while j >= 0 and stack[j][0] >= seg[0]:
-                j -= 1
-            if j < 0 or stack[j][1] >= seg[1]:
-                stack.append(seg)
+            while below >= 0 and stack[below][0] >= start:
+                below = stack[below][4]
+            if below < 0 or stack[below][1] >= total:
+                stack.append((start, total, first, i, below))
                 break
-            seg = (stack[j][0], seg[1], stack[j][2], seg[3])
-            del stack[j:]
-    return [(b - a, i, k) for a, b, i, k in stack]
+            start, _, first, _, lower = stack[below]
+            del stack[below:]
+            below = lower
+    return [(b - a, i, k) for a, b, i, k, _ in stack]
 
 
 def segments(text: str, lexicon: dict[str, float]) -> tuple[int, list[tuple[float, int, int, int, int]]]:
@@ -122,6 +127,7 @@ def fit(docs: DataFrame, labels: DataFrame, most_toxic: int = MOST_TOXIC, most_c
 
     At most ``most_toxic`` and ``most_clean`` labelled documents, drawn by hash, are read for fitting;
     several labels of a document count as toxic if one does.  The class shares come from all labels.
+    The curve over segment scores is fitted on scores by lexicons that have not seen the text.
     """
     flat = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("fl_toxic"))
     flat = flat.withColumn("fl_toxic", (F.col("fl_toxic") > 0).cast("int"))
@@ -131,28 +137,39 @@ def fit(docs: DataFrame, labels: DataFrame, most_toxic: int = MOST_TOXIC, most_c
     draw = F.xxhash64("doc_id", F.lit(5))
     some = flat.where("fl_toxic = 1").orderBy(draw, "doc_id").limit(most_toxic).union(flat.where("fl_toxic = 0").orderBy(draw, "doc_id").limit(most_clean))
     # at most most_toxic + most_clean rows of two numbers: of a fixed size, so it is broadcast
-    sample = written(docs.select("doc_id", "text").where("text is not null").join(F.broadcast(some), "doc_id").select("text", "fl_toxic"), "toxicity-sample")
+    fold = F.pmod(F.xxhash64("text", F.lit(9)), F.lit(FOLDS)).cast("int").alias("fl_fold")  # copies fall in one
+    sample = written(docs.select("doc_id", "text").where("text is not null").join(F.broadcast(some), "doc_id").select("text", "fl_toxic", fold), "toxicity-sample")
 
     def tokens(batches):
         for whole in batches:
             for b in pieces(whole, "text"):
-                words, toxic = [], []
-                for t, y in zip(b.column("text").to_pylist(), b.column("fl_toxic").to_pylist()):
+                words, toxic, folds = [], [], []
+                for t, y, h in zip(*(b.column(c).to_pylist() for c in ("text", "fl_toxic", "fl_fold"))):
                     own = set(TOKEN.findall(t.lower()))
                     words.extend(own)
                     toxic.extend([y] * len(own))
-                yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array(toxic, pa.int32())], names=["w", "y"])
-
-    counts = written(sample.mapInArrow(tokens, "w string, y int").groupBy("w").agg(F.sum("y").alias("t"), F.sum(1 - F.col("y")).alias("c")), "toxicity-counts")
-    nt, nc = counts.agg(F.sum("t"), F.sum("c")).first()
-    if not nt or not nc:
+                    folds.extend([h] * len(own))
+                yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array(toxic, pa.int32()), pa.array(folds, pa.int32())], names=["w", "y", "fold"])
+
+    counts = sample.mapInArrow(tokens, "w string, y int, fold int").groupBy("w")
+    counts = written(counts.agg(*[F.sum(((F.col("y") == y) & (F.col("fold") == h)).cast("int")).alias(f"{c}{h}") for h in range(FOLDS) for y, c in ((1, "t"), (0, "c"))]), "toxicity-counts")
+    # a lexicon of all of the sample, and one without each fold, which scores that fold
+    parts = {f"{h}": [" + ".join(f"{c}{k}" for k in range(FOLDS) if k != h) for c in "tc"] for h in (*range(FOLDS), "")}
+    sums = counts.agg(*[F.sum(F.expr(e)).alias(f"{c}{h}") for h, own in parts.items() for c, e in zip("tc", own)]).first()
+    if not sums["t"] or not sums["c"]:
         return None
-    a0 = PRIOR_SHARE * (nt + nc)
-    a = (F.col("t") + F.col("c")) * F.lit(a0 / (nt + nc))
-    odds = F.log((F.col("t") + a) / (nt + a0 - F.col("t") - a)) - F.log((F.col("c") + a) / (nc + a0 - F.col("c") - a))
-    z = odds / F.sqrt(1 / (F.col("t") + a) + 1 / (F.col("c") + a))
-    kept = counts.select("w", odds.alias("s"), ((F.col("c") + a) / F.lit(nc + a0)).alias("p"), z.alias("z")).where(F.abs("z") >= LEAST_Z)
-    rows = kept.orderBy("w").collect()  # bounded, as the sample is
+    shown = []
+    for h, own in parts.items():
+        t, c, nt, nc = *map(F.expr, own), float(sums[f"t{h}"] or 0), float(sums[f"c{h}"] or 0)
+        a0 = PRIOR_SHARE * (nt + nc) + 1e-9
+        a = (F.expr(" + ".join(parts[""])) / (sums["t"] + sums["c"])) * a0
+        odds = F.log((t + a) / (nt + a0 - t - a)) - F.log((c + a) / (nc + a0 - c - a))
+        z = odds / F.sqrt(1 / (t + a) + 1 / (c + a))
+        shown += [F.when(F.abs(z) >= LEAST_Z, odds).alias(f"s{h}"), ((c + a) / F.lit(nc + a0)).alias(f"p{h}")]
+    # bounded, as the sample is
+    rows = counts.select("w", *shown).where(" or ".join(f"s{h} is not null" for h in parts)).orderBy("w").collect()
+    without = [{r["w"]: float(r[f"s{h}"]) for r in rows if r[f"s{h}"] is not None} for h in range(FOLDS)]
+    rows = [r for r in rows if r["s"] is not None]
     if not rows:
         return None
     lexicon = {r["w"]: float(r["s"]) for r in rows}
@@ -163,8 +180,8 @@ def fit(docs: DataFrame, labels: DataFrame, most_toxic: int = MOST_TOXIC, most_c
         for whole in batches:
             for b in pieces(whole, "text"):
                 ys, ns, ss = b.column("fl_toxic"), [], []
-                for t in b.column("text").to_pylist():
-                    n, found = segments(t, lexicon)
+                for t, h in zip(b.column("text").to_pylist(), b.column("fl_fold").to_pylist()):
+                    n, found = segments(t, without[h])
                     ns.append(n)
                     ss.append([f[0] for f in found])
                 yield pa.RecordBatch.from_arrays([ys.cast(pa.int32()), pa.array(ns, pa.int64()), pa.array(ss, pa.list_(pa.float64()))], names=["y", "n", "s"])
