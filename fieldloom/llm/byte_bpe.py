@@ -4,8 +4,8 @@ Pre-tokenisation runs no regex.  Code points become class numbers, each class is
 transition function on the states of a small automaton, and functions compose
 associatively: blocks are composed side by side, block results are scanned, and a second
 sweep yields each position's state and from it the slice starts.  Slices unknown to the
-cache are merged together, all at once, with array operations; offsets are kept, so a
-document's ids can be decoded, also in part.
+cache are merged together, all at once, with array operations, and long ones by a heap over
+a linked list; offsets are kept, so a document's ids can be decoded, also in part.
 """
 
 from __future__ import annotations
@@ -13,6 +13,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import unicodedata
+from heapq import heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -29,6 +30,7 @@ LETTER, STMD, RV, E, EL, NUMBER, OTHER, QUOTE, BLANK, SPACE, END = range(11)
 FRESH, IN_LETTERS, IN_NUMBERS, IN_OTHERS, AT_QUOTE, QUOTE_RV, QUOTE_L, AT_BLANK, IN_SPACE = range(9)
 STATES, HERE, BEFORE = 9, 1, 2
 BLOCK = 256
+LONG_SLICE = 256  # bytes beyond which a slice is merged on its own
 CACHE_MOST = 300_000  # slices kept by a task; beyond it the cache starts anew
 
 
@@ -195,13 +197,57 @@ class Merger:
             miss = miss[~hit & (self.slots_rank[at[miss]] >= 0)]
         return out
 
+    def merge_long(self, piece: bytes) -> list[int]:
+        """Ids of one long slice: pairs wait in a heap by (rank, place), and merged tokens form a linked list."""
+        ids = self.single[np.frombuffer(piece, np.uint8)]
+        rank = self.rank(ids[:-1], ids[1:]).astype(np.int64)
+        at = np.flatnonzero(rank >= 0)
+        heap = np.sort(rank[at] << 40 | at).tolist()  # sorted, so a heap
+        n, now = len(piece), rank.tolist()
+        now.append(-1)
+        end, back = list(range(1, n + 1)), list(range(-1, n))  # of the token that starts at a place: where it ends, who is before
+        get, mask = self.ranks.get, (1 << 40) - 1
+        while heap:
+            top = heappop(heap)
+            r, i = top >> 40, top & mask
+            if now[i] != r:  # one of the pair has been merged since
+                continue
+            j = end[i]
+            e = end[i] = end[j]
+            now[j] = -1
+            if e < n:
+                back[e] = i
+                now[i] = m = get(piece[i : end[e]], -1)
+                if m >= 0:
+                    heappush(heap, m << 40 | i)
+            else:
+                now[i] = -1
+            h = back[i]
+            if h >= 0:
+                now[h] = m = get(piece[h:e], -1)
+                if m >= 0:
+                    heappush(heap, m << 40 | h)
+        out, i = [], 0
+        while i < n:
+            out.append(self.ranks[piece[i : end[i]]])
+            i = end[i]
+        return out
+
     def merge(self, slices: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all slices, ids in each). Every round merges each slice's leftmost pair of the lowest rank."""
         whole = np.array([self.ranks.get(s, -1) for s in slices], np.int64)
-        open_ = np.flatnonzero(whole < 0)
+        sizes = np.array([len(s) for s in slices], np.int64)
+        long_ = np.flatnonzero((whole < 0) & (sizes > LONG_SLICE))
+        open_ = np.flatnonzero((whole < 0) & (sizes <= LONG_SLICE))
         known = np.flatnonzero(whole >= 0)
         done_ids, done_owner = [whole[known]], [known]
-        sizes = np.array([len(slices[i]) for i in open_], np.int64)
+        for i in long_.tolist():
+            done_ids.append(np.array(self.merge_long(slices[i]), np.int64))
+            done_owner.append(np.full(len(done_ids[-1]), i))
+        if not len(open_):
+            ids, owner = np.concatenate(done_ids), np.concatenate(done_owner)
+            return ids[np.argsort(owner, kind="stable")], np.bincount(owner, minlength=len(slices))
+        sizes = sizes[open_]
         ids = self.single[np.frombuffer(b"".join(slices[i] for i in open_), np.uint8)]
         owner = np.repeat(open_, sizes)
         none = np.int64(1 << 40)
