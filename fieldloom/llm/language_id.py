@@ -26,7 +26,8 @@ FAMILIES = {
 }
 
 WIDTH = 4096  # hashed n-gram dimensions
-MOST_TRAINING_ROWS = 2000  # bound on the labelled rows that the classifiers are fitted on
+MOST_TRAINING_ROWS = 4000  # bound on the distinct labelled texts that the classifiers are fitted on
+BATCH_ROWS = 1024  # texts whose n-gram rows are in memory at once
 UNKNOWN = "und"
 
 
@@ -60,16 +61,21 @@ def ngram_rows(column: pa.Array, width: int = WIDTH) -> np.ndarray:
     return out
 
 
-def fit_svm(x: np.ndarray, y: np.ndarray, c: float = 10.0, steps: int = 120) -> np.ndarray:
-    """Squared-hinge linear SVM by accelerated gradient descent; y in {-1, 1}. The bias is last."""
-    d = x.shape[1] + 1
-    share = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y < 0).sum())).astype(np.float32)
+def fit_svm(plus: list[np.ndarray], minus: list[np.ndarray], c: float = 10.0, steps: int = 120) -> np.ndarray:
+    """Squared-hinge linear SVM of rows ``plus`` against ``minus``, by accelerated gradient descent. The bias is last.
+
+    Rows come as views on one table, so no pair of classes needs a copy of its own.
+    """
+    d = (plus + minus)[0].shape[1] + 1
+    sides = [(x, np.float32(y), np.float32(0.5 / max(1, sum(map(len, own))))) for own, y in ((plus, 1.0), (minus, -1.0)) for x in own]
     w = z = np.zeros(d, np.float32)
     rate, t = 1.0 / (1.0 / c + 4.0), 1.0
     for _ in range(steps):
-        slack = np.maximum(0.0, 1.0 - y * (x @ z[:-1] + z[-1])).astype(np.float32)
-        push = share * y * slack
-        grad = z / np.float32(c) / 10 - 2 * np.append(push @ x, push.sum()).astype(np.float32)
+        grad = z / np.float32(c) / 10
+        for x, y, share in sides:
+            push = share * y * np.maximum(np.float32(0), 1 - y * (x @ z[:-1] + z[-1]))
+            grad[:-1] -= 2 * (push @ x)
+            grad[-1] -= 2 * push.sum()
         new = z - np.float32(rate) * grad
         t2 = (1 + np.sqrt(1 + 4 * t * t)) / 2
         z = new + np.float32((t - 1) / t2) * (new - w)
@@ -77,13 +83,9 @@ def fit_svm(x: np.ndarray, y: np.ndarray, c: float = 10.0, steps: int = 120) ->
     return w
 
 
-def fit_pairs(x: np.ndarray, y: np.ndarray, names: list[str]) -> list[tuple[int, int, np.ndarray]]:
-    out = []
-    for i in range(len(names)):
-        for j in range(i + 1, len(names)):
-            rows = (y == i) | (y == j)
-            out.append((i, j, fit_svm(x[rows], np.where(y[rows] == i, 1.0, -1.0).astype(np.float32))))
-    return out
+def fit_pairs(classes: list[list[np.ndarray]]) -> list[tuple[int, int, np.ndarray]]:
+    """A machine for each two of ``classes``, each a list of tables of rows."""
+    return [(i, j, fit_svm(classes[i], classes[j])) for i in range(len(classes)) for j in range(i + 1, len(classes))]
 
 
 def vote(x: np.ndarray, pairs: list, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -102,24 +104,22 @@ def vote(x: np.ndarray, pairs: list, k: int) -> tuple[np.ndarray, np.ndarray]:
     return best, least[np.arange(len(x)), best]
 
 
-def fit(rows: list[tuple[str, np.ndarray]]) -> dict | None:
-    """Model from (language, n-gram row) pairs; None without rows."""
+def fit(rows: list[tuple[str, bytes]]) -> dict | None:
+    """Model from (language, packed n-gram row) pairs; None without rows."""
     langs = sorted({lang for lang, _ in rows})
     if not langs:
         return None
-    lang = np.array([langs.index(k) for k, _ in rows])
-    x = np.vstack([v for _, v in rows])
-    del rows  # one copy on the driver is enough
+    rows = sorted(rows)
+    x = np.zeros((len(rows), WIDTH), np.float32)
+    for row, (_, v) in zip(x, rows):
+        k = len(v) // 6
+        row[np.frombuffer(v, np.uint16, k)] = np.frombuffer(v, np.float32, k, 2 * k)
+    ends = np.cumsum([sum(lang == k for lang, _ in rows) for k in langs]).tolist()
+    own = dict(zip(langs, (x[a:b] for a, b in zip([0, *ends], ends))))
     fams = sorted({family_of(k) for k in langs})
-    of = np.array([fams.index(family_of(k)) for k in langs])
-    model = {"families": fams, "top": fit_pairs(x, of[lang], fams), "within": []}
-    for f in range(len(fams)):
-        own = [i for i in range(len(langs)) if of[i] == f]
-        keep = np.isin(lang, own)
-        place = np.full(len(langs), -1)
-        place[own] = np.arange(len(own))
-        model["within"].append(([langs[i] for i in own], fit_pairs(x[keep], place[lang[keep]], own)))
-    return model
+    members = [[k for k in langs if family_of(k) == f] for f in fams]
+    within = [(m, fit_pairs([[own[k]] for k in m])) for m in members]
+    return {"families": fams, "top": fit_pairs([[own[k] for k in m] for m in members]), "within": within}
 
 
 def predict(model: dict | None, column: pa.Array) -> tuple[list[str], np.ndarray]:
@@ -141,42 +141,43 @@ def predict(model: dict | None, column: pa.Array) -> tuple[list[str], np.ndarray
     return names, np.where(lettered, score, 0.0)
 
 
-def training_rows(docs: DataFrame, most: int) -> list[tuple[str, np.ndarray]]:
-    """At most ``most`` labelled rows, shared evenly among languages, chosen by a hash of the text.
+def training_rows(docs: DataFrame, most: int) -> list[tuple[str, bytes]]:
+    """At most ``most`` distinct labelled texts as packed n-gram rows, shared evenly among languages.
 
-    Counts come from all labelled rows; only the chosen rows' n-grams reach the driver.
+    They are drawn by a hash of the text, and a text counts once however often it stands in ``docs``,
+    so copies can't push a language's other texts out, nor leave it without any.  Numbers of distinct
+    texts are estimated over all labelled rows; only the drawn rows' n-grams reach the driver.
     """
-    docs = docs.select(F.col("lang").alias("fl_lang"), F.col("text").alias("fl_text")).where("fl_lang is not null and fl_text is not null")
-    counts = {r[0]: r[1] for r in docs.groupBy("fl_lang").count().orderBy(F.desc("count"), "fl_lang").limit(most).collect()}
+    docs = docs.select(F.col("lang").alias("fl_lang"), F.col("text").alias("fl_text")).where("fl_lang is not null and fl_text is not null").where(F.col("fl_text").rlike(r"\p{L}"))
+    counts = {r[0]: r[1] for r in docs.groupBy("fl_lang").agg(F.approx_count_distinct(F.xxhash64("fl_text")).alias("c")).orderBy(F.desc("c"), "fl_lang").limit(most).collect()}
     if not counts:
         return []
     each = max(1, most // len(counts))
-    # about twice the share passes the hash filter; the window then sees a bounded set
-    share = F.create_map(*[F.lit(v) for k, c in counts.items() for v in (k, min(1.0, 2.0 * each / c))])
+    # about twice the share passes the hash filter, all of a language with few texts; the window then sees a bounded set
+    share = F.create_map(*[F.lit(v) for k, c in counts.items() for v in (k, 1.0 if c < 8 * each else 2.0 * each / c)])
     draw = F.pmod(F.xxhash64("fl_text", F.lit(11)), F.lit(1 << 30)) / float(1 << 30)
     some = docs.withColumn("fl_draw", draw).where(F.col("fl_draw") < share[F.col("fl_lang")])
-    w = Window.partitionBy("fl_lang").orderBy("fl_draw")
+    some = some.groupBy("fl_lang", "fl_draw").agg(F.min("fl_text").alias("fl_text"))
+    w = Window.partitionBy("fl_lang").orderBy("fl_draw", "fl_text")
 
     def grams(batches):
-        for whole in batches:
-            for b in pieces(whole, "fl_text"):
-                rows = ngram_rows(b.column("fl_text"))
-                keep = np.asarray(pc.match_substring_regex(b.column("fl_text"), r"\p{L}"))
-                out = [[], []]
-                for i in np.flatnonzero(keep):
-                    at = np.flatnonzero(rows[i])
-                    out[0].append(at.astype(np.uint16).tobytes() + rows[i][at].tobytes())
-                    out[1].append(b.column("fl_lang")[int(i)].as_py())
-                yield pa.RecordBatch.from_arrays([pa.array(out[1], pa.string()), b.column("fl_draw").take(pa.array(np.flatnonzero(keep))), pa.array(out[0], pa.binary())], names=["fl_lang", "fl_draw", "v"])
-
-    got = some.mapInArrow(grams, "fl_lang string, fl_draw double, v binary").withColumn("fl_n", F.row_number().over(w)).where(F.col("fl_n") <= each).select("fl_lang", "v").collect()
-    out = []
-    for lang, v in got:
-        k = len(v) // 6
-        row = np.zeros(WIDTH, np.float32)
-        row[np.frombuffer(v, np.uint16, k)] = np.frombuffer(v, np.float32, k, 2 * k)
-        out.append((lang, row))
-    return sorted(out, key=lambda r: (r[0], r[1].tobytes()))
+        for b in row_batches(batches, "fl_text"):
+            made = []
+            for row in ngram_rows(b.column("fl_text")):
+                at = np.flatnonzero(row)
+                made.append(at.astype(np.uint16).tobytes() + row[at].tobytes())
+            yield pa.RecordBatch.from_arrays([b.column("fl_lang"), pa.array(made, pa.binary())], names=["fl_lang", "v"])
+
+    drawn = some.withColumn("fl_n", F.row_number().over(w)).where(F.col("fl_n") <= each).select("fl_lang", "fl_text")
+    return [tuple(r) for r in drawn.mapInArrow(grams, "fl_lang string, v binary").collect()]
+
+
+def row_batches(batches, column: str):
+    """Slices of record batches by bytes of ``column`` and by rows."""
+    for whole in batches:
+        for b in pieces(whole, column):
+            for at in range(0, b.num_rows, BATCH_ROWS):
+                yield b.slice(at, BATCH_ROWS)
 
 
 def identify(docs: DataFrame, train: DataFrame, most_rows: int = MOST_TRAINING_ROWS) -> DataFrame:
@@ -192,9 +193,8 @@ def identify(docs: DataFrame, train: DataFrame, most_rows: int = MOST_TRAINING_R
     schema = wider(keep, ("lang_pred", "string"), ("score", "double"))
 
     def run(batches):
-        for whole in batches:
-            for b in pieces(whole, "text"):
-                names, score = predict(model, b.column("text"))
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(names, pa.string()), pa.array(score, pa.float64())], names=[*b.schema.names, "lang_pred", "score"])
+        for b in row_batches(batches, "text"):
+            names, score = predict(model, b.column("text"))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(names, pa.string()), pa.array(score, pa.float64())], names=[*b.schema.names, "lang_pred", "score"])
 
     return keep.mapInArrow(run, schema)
