@@ -4,8 +4,6 @@ A chunk opens at each line and ends where it has LEAST_LINES lines and LEAST_CHA
 one closes at each line by the same rule read backwards.  So a chunk depends on its own lines alone,
 and any run of lines that is large enough is covered by the chunks inside it: a line goes if and only
 if it lies in a run of that size which occurs earlier without overlap.  Bytes are compared before.
-
-WEIGHT, MODULUS and DIVISOR are of the sparser boundaries that the SQL twin still has.
 """
 
 from __future__ import annotations
@@ -13,8 +11,6 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-# A boundary follows a line where the rolling hash of it and its predecessor is 0 modulo DIVISOR.
-WEIGHT, MODULUS, DIVISOR = 31, 1_000_003, 3
 LEAST_LINES, LEAST_CHARS = 2, 32  # smaller chunks stay
 MOST_LINES = LEAST_LINES + LEAST_CHARS  # line feeds count, so that no chunk needs more
 
@@ -100,16 +96,18 @@ def needed(w: Column) -> Column:
 
 
 ORACLE = f"""
-WITH l AS (SELECT doc_id, text, string_split(text, chr(10)) AS lines FROM documents WHERE text IS NOT NULL),
-h AS (SELECT doc_id, text, lines, list_transform(lines, lambda x: CAST('0x' || substr(md5(x), 1, 8) AS BIGINT)) AS hs FROM l),
-e AS (SELECT doc_id, text, lines, list_filter(range(1, len(hs) + 1), lambda i: i = len(hs) OR ((CASE WHEN i > 1 THEN hs[i - 1] ELSE 0 END) * {WEIGHT} + hs[i]) % {MODULUS} % {DIVISOR} = 0) AS ends FROM h),
-c AS (SELECT doc_id, unnest(range(1, len(ends) + 1)) AS k, lines, ends FROM e),
-b AS (SELECT doc_id, k, ends[k] - (CASE WHEN k > 1 THEN ends[k - 1] ELSE 0 END) AS n,
-  array_to_string(lines[(CASE WHEN k > 1 THEN ends[k - 1] ELSE 0 END) + 1 : ends[k]], chr(10)) AS body FROM c),
-r AS (SELECT *, n >= {LEAST_LINES} AND length(body) >= {LEAST_CHARS} AND row_number() OVER (PARTITION BY body ORDER BY doc_id, k) > 1 AS gone FROM b),
-k AS (SELECT doc_id, CAST(sum(CASE WHEN gone THEN n ELSE 0 END) AS BIGINT) AS n_removed_lines,
-  string_agg(CASE WHEN gone THEN NULL ELSE body END, chr(10) ORDER BY k) AS kept FROM r GROUP BY doc_id)
-SELECT d.doc_id, CAST(coalesce(len(string_split(d.text, chr(10))), 0) AS BIGINT) AS n_lines, coalesce(n_removed_lines, 0) AS n_removed_lines,
+WITH d AS (SELECT doc_id, string_split(text, chr(10)) AS lines FROM documents WHERE text IS NOT NULL),
+o AS (SELECT doc_id, lines, unnest(range(1, len(lines))) AS i FROM d),
+p AS (SELECT doc_id, lines, i, unnest(range({LEAST_LINES}, least({MOST_LINES}, len(lines) - i + 1) + 1)) AS n FROM o),
+r AS (SELECT doc_id, i, n, array_to_string(lines[i : i + n - 1], chr(10)) AS body FROM p),
+w AS (SELECT * FROM r WHERE length(body) >= {LEAST_CHARS}),
+c AS (SELECT * FROM w QUALIFY n = min(n) OVER (PARTITION BY doc_id, i) OR n = min(n) OVER (PARTITION BY doc_id, i + n)),
+f AS (SELECT body, min({{'d': doc_id, 'i': i}}) AS first FROM c GROUP BY body),
+g AS (SELECT DISTINCT doc_id, unnest(range(i, i + n)) AS pos FROM c JOIN f USING (body) WHERE doc_id > first.d OR i >= first.i + n),
+l AS (SELECT doc_id, unnest(lines) AS line, unnest(range(1, len(lines) + 1)) AS pos FROM d),
+k AS (SELECT l.doc_id, count(*) AS n_lines, count(g.pos) AS gone, string_agg(CASE WHEN g.pos IS NULL THEN line END, chr(10) ORDER BY l.pos) AS kept
+  FROM l LEFT JOIN g ON g.doc_id = l.doc_id AND g.pos = l.pos GROUP BY l.doc_id)
+SELECT d.doc_id, coalesce(n_lines, 0) AS n_lines, coalesce(gone, 0) AS n_removed_lines,
   CASE WHEN d.text IS NULL THEN NULL ELSE sha256(coalesce(kept, '')) END AS kept_sha256
 FROM documents d LEFT JOIN k USING (doc_id)
 """
