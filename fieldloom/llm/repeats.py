@@ -5,8 +5,9 @@ Both substring operators take the same road:
 1. every window has an anchor, a stretch of 25 units that depends on the window alone, so equal
    windows have equal anchors; partitions count anchors in a count-min sketch, and merged counts
    are never below the number of documents that hold a window;
-2. only windows whose anchor is estimated to be in two documents go to the shard of that anchor,
-   where they are grouped exactly and the smallest document of each group is found;
+2. only windows whose anchor is estimated to be in two documents go, as bytes of their text, to the
+   shard of that anchor, where they are grouped by what they hold, not by hashes, and the smallest
+   document of each group is found;
 3. covered stretches return to their documents.
 
 A group of any size costs a shard one entry for each occurrence, never pairs.
@@ -24,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType, DataType, StructField, StructType
 
 from .common import hinted, pieces, text_buffers, written
-from .rolling import Hasher, anchor_runs, full_windows, words
+from .rolling import Hasher, anchor_runs, full_windows, word_hashes, words
 from .sketch import Sketch, bits_for, merged
 
 WINDOW, ANCHOR = 50, 25
@@ -33,27 +34,47 @@ SHARD_BYTES = 16 << 20  # text for each shard of the second pass
 
 
 class Scanner:
-    """Units, window anchors and window hashes of a batch of texts."""
+    """Units, window anchors and stretches of windows with one anchor, of a batch of texts."""
 
     def __init__(self, by_words: bool) -> None:
         self.by_words = by_words
-        self.hashers = Hasher(0), Hasher(1)
+        self.hasher = Hasher(0)
 
     def load(self, column: pa.Array) -> None:
         self.raw, self.offsets, _ = text_buffers(column)
         if self.by_words:
-            starts, ends, self.bounds = words(self.raw, self.offsets)
-            h = self.hashers[0]
-            self.units = h.stretches(h.prefix(self.raw), starts, ends)
+            self.starts, self.ends, self.bounds = words(self.raw, self.offsets)
+            units = word_hashes(self.raw, self.starts, self.ends)
         else:
-            self.units, self.bounds = self.raw, self.offsets
-        self.prefix = self.hashers[0].prefix(self.units)
-        n = max(0, len(self.units) - WINDOW + 1)
-        hashes = self.hashers[0].windows(self.prefix, ANCHOR)
+            units, self.bounds = self.raw, self.offsets
+        self.prefix = self.hasher.prefix(units)
+        n = max(0, len(units) - WINDOW + 1)
+        hashes = self.hasher.windows(self.prefix, ANCHOR)
         anchor, self.first, self.last = anchor_runs(hashes, WINDOW, ANCHOR, full_windows(self.bounds, WINDOW, n))
         self.key = hashes[anchor]
         self.doc = np.searchsorted(self.bounds, anchor, side="right") - 1
 
+    def places(self, run: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(start, size) in bytes of what the windows of each run cover."""
+        if self.by_words:
+            start = self.starts[self.first[run]]
+            return start, self.ends[self.last[run] + WINDOW - 1] - start
+        return self.first[run], self.last[run] - self.first[run] + WINDOW
+
+    def alike(self, run: np.ndarray) -> np.ndarray:
+        """For each of ``run`` the place in it of one that covers the same bytes: found by hash, then compared."""
+        start, size = self.places(run)
+        _, one, which = np.unique(self.hasher.stretches(self.prefix, self.first[run], self.last[run] + WINDOW), return_index=True, return_inverse=True)
+        other = one[which]
+        own = np.arange(len(run))
+        other = np.where(size == size[other], other, own)
+        moved = np.flatnonzero(other != own)
+        if len(moved):
+            differ = self.raw[ragged(start[moved], size[moved])] != self.raw[ragged(start[other[moved]], size[moved])]
+            wrong = np.add.reduceat(differ.astype(np.int64), np.cumsum(size[moved]) - size[moved]) > 0
+            other[moved[wrong]] = moved[wrong]
+        return other
+
     def keys(self) -> np.ndarray:
         """Each document's anchors, once."""
         tagged = self.key + self.doc.astype(np.uint64) * np.uint64(0x9FB21C651E98DF25)
@@ -81,15 +102,24 @@ def unpack(blob: bytes, kinds: tuple) -> list[np.ndarray]:
 RUN = (np.int64, np.int64, np.int32, np.uint8, np.int32)  # doc_id, row key, first window, windows, content number
 
 
-def word_groups(blobs: list[bytes]) -> tuple:
-    """Runs of a shard and, for each of their windows, a number that equal windows share (two 64-bit hashes)."""
-    parts = [unpack(b, (*RUN, np.uint64, np.uint64)) for b in blobs]
-    ids, keys, first, count, _, h1, h2 = (np.concatenate(c) for c in zip(*parts))
-    order = np.lexsort((h2, h1))
-    fresh = np.concatenate([[True], (h1[order][1:] != h1[order][:-1]) | (h2[order][1:] != h2[order][:-1])])
-    group = np.empty(len(order), np.int64)
-    group[order] = np.cumsum(fresh) - 1
-    return ids, keys, first, count.astype(np.int64), group
+def gathered(blobs: list[bytes]) -> tuple[list[np.ndarray], list[bytes]]:
+    """The runs of a shard and its distinct contents; a run knows its content by its place among them."""
+    runs, contents = [], {}
+    for blob in blobs:
+        *run, size, text = unpack(blob, (*RUN, np.int32, np.uint8))
+        ends = np.cumsum(size.astype(np.int64)).tolist()
+        data = text.tobytes()
+        number = np.array([contents.setdefault(data[a:e], len(contents)) for a, e in zip([0, *ends], ends)], np.int64)
+        run[4] = number[run[4]]
+        runs.append(run)
+    return [np.concatenate(c) for c in zip(*runs)], list(contents)
+
+
+def windows_of(runs: list[np.ndarray], bucket: np.ndarray, many: np.ndarray) -> tuple:
+    """Runs, and the bucket of each of their windows; ``bucket`` lists those of all contents, ``many`` in each."""
+    ids, keys, first, count, content = runs
+    count = count.astype(np.int64)
+    return ids, keys, first, count, bucket[ragged((np.cumsum(many) - many)[content], count)]
 
 
 def covered_runs(ids, keys, first, count, group) -> tuple:
@@ -146,22 +176,14 @@ def covers(docs: DataFrame, by_words: bool, groups: Callable) -> DataFrame:
                 cuts = np.append(np.flatnonzero(np.concatenate([[True], shard[1:] != shard[:-1]])), len(shard))
                 ids, row_keys = np.asarray(b.column("fl_id"), np.int64), np.asarray(b.column("fl_k"), np.int64)
                 count = s.last - s.first + 1
-                if by_words:
-                    second = s.hashers[1].prefix(s.units)
-                else:
-                    content = s.hashers[0].stretches(s.prefix, s.first, s.last + WINDOW)
+                start, size = s.places(keep)
+                alike = s.alike(keep)
                 blobs = []
                 for a, e in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
                     r = keep[a:e]
-                    run = [ids[s.doc[r]], row_keys[s.doc[r]], (s.first[r] - s.bounds[s.doc[r]]).astype(np.int32), count[r].astype(np.uint8)]
-                    if by_words:
-                        w = ragged(s.first[r], count[r])
-                        extra = [np.zeros(0, np.int32), s.hashers[0].stretches(s.prefix, w, w + WINDOW), s.hashers[1].stretches(second, w, w + WINDOW)]
-                    else:  # a content that recurs in this batch is sent once
-                        _, one, which = np.unique(content[r], return_index=True, return_inverse=True)
-                        c = r[one]
-                        extra = [which.astype(np.int32), count[c].astype(np.uint8), s.raw[ragged(s.first[c], count[c] + WINDOW - 1)]]
-                    blobs.append(pack(*run, *extra))
+                    one, which = np.unique(alike[a:e], return_inverse=True)  # a content that recurs in this batch is sent once
+                    run = [ids[s.doc[r]], row_keys[s.doc[r]], (s.first[r] - s.bounds[s.doc[r]]).astype(np.int32), count[r].astype(np.uint8), which.astype(np.int32)]
+                    blobs.append(pack(*run, size[one].astype(np.int32), s.raw[ragged(start[one], size[one])]))
                 yield pa.RecordBatch.from_arrays([pa.array(shard[cuts[:-1]], pa.int64()), pa.array(blobs, pa.binary())], names=["shard", "blob"])
 
     def judged(batches):
