@@ -326,3 +326,58 @@ def test_secret_scan_keeps_each_literal_of_a_statement():
     assert want <= {a for a, *_ in secret_scan.named_literals(text)}
     chain = 'token = "Q9xZ81kP"\n' + "".join(f"token = token + token + 'u{i}Xz'\n" for i in range(3000))
     assert len(secret_scan.named_literals(chain)) == 3001
+
+
+def thue_morse(n, one, other):
+    return "".join(other if bin(i).count("1") % 2 else one for i in range(n))
+
+
+def test_words_that_weak_hashes_confuse(spark):
+    """Long words of two letters, equal under any polynomial modulo 2**64, are different words."""
+    a, b = thue_morse(1024, "a", "b"), thue_morse(1024, "b", "a")
+    head, tail = [f"w{i}" for i in range(30)], [f"x{i}" for i in range(30)]
+    docs = spark.createDataFrame([(1, " ".join([*head, a, *tail])), (2, " ".join([*head, b, *tail])), (3, " ".join([*head, a, *tail[:-1]]))], "doc_id bigint, text string")
+    assert {r.doc_id: r.n_removed for r in substring_dedup.deduplicate(docs).collect()} == {1: 0, 2: 0, 3: 60}
+    texts = [" ".join([x] * 3 + [y] + ["end"] * 2) for x in (a, b) for y in ("p", "q")]
+    linked = ngram_join.link_components(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"))
+    assert {r.doc_id: r.component_id for r in linked.collect()} == {0: 0, 1: 1, 2: 2, 3: 3}
+
+
+def test_segment_scan_is_linear():
+    import time
+
+    for v in ([1.0, -1.5] * 40_000, [-1.0, 1.5] * 40_000):
+        began = time.time()
+        toxicity.maximal_segments(v)
+        assert time.time() - began < 2
+
+
+def test_byte_bpe_of_long_slices(spark):
+    import time
+
+    import public_tokenizers as P
+    import tiktoken
+
+    path = P.path("byte_bpe_multi_50k.tiktoken")
+    ranks = byte_bpe.load_ranks(path)
+    enc = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    codec = byte_bpe.Codec(ranks, byte_bpe.class_table(), byte_bpe.pair_slots(ranks))
+    rnd = random.Random(4)
+    for letters in ("abcdefghijklmnopqrstuvwxyz", "ab", "a", "aetion", "日本語中文"):
+        for n in (250, 257, 700, 4000):
+            text = "".join(rnd.choice(letters) for _ in range(n))
+            ids, cuts = codec.encode(["x " + text, text, ""])
+            assert [ids[a:b].tolist() for a, b in zip(cuts[:-1], cuts[1:])] == [enc.encode_ordinary(t) for t in ("x " + text, text, "")]
+    long = "".join(rnd.choice("etaoinshrdlu") for _ in range(300_000))
+    began = time.time()
+    ids, _ = codec.encode([long])
+    assert time.time() - began < 20 and codec.decode(ids.tolist()).decode() == long
+
+
+def test_language_draw_keeps_each_language(spark):
+    rnd = random.Random(8)
+    rows = [("le petit chat est dans la maison de la mère", "fr")] * 3000
+    rows += [(" ".join(rnd.choice("the of and to in that house cat mother is".split()) for _ in range(12)), "en") for _ in range(600)]
+    rows += [("un autre texte pour la langue", "fr"), (None, "fr"), ("123", "fr"), ("no label", None)]
+    got = Counter(lang for lang, _ in language_id.training_rows(spark.createDataFrame(rows, "text string, lang string"), 200))
+    assert got == {"fr": 2, "en": 100}
