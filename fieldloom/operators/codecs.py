@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from fieldloom.functions.bitpack import decode_fixed, encode_fixed
 from fieldloom.functions.quantise import checked, quantised
 from fieldloom.model import CODECS, META, QUANT, RESID, VALUE, ErrorBound, Layout, layout_for, require
-from fieldloom.operators.chunks import HEAD, KEY, carries, flatten_grid, kernel, padded, place, prefix_with_carry, to_chunks, with_faces
+from fieldloom.operators.chunks import HEAD, KEY, MESSAGE, carries, dense, flatten_grid, head, kernel, place, prefix_with_carry, to_chunks, with_messages
 
 CONTAINER = f"{HEAD}, codec string, n array<bigint>, meta array<bigint>, width array<int>, payload binary"
 
@@ -74,19 +74,31 @@ def compress_chunks(chunks: DataFrame, codec: str, layout: Layout, anchor: str =
     """Container of quantised chunk rows."""
     kind = CODECS[codec]
     name = codec if anchor == "grid" else f"{codec}@chunk"
-    if kind.predictor == "difference" and anchor == "grid":
-        steps = [s for s in np.ndindex(*(2,) * layout.ndim) if any(s)]
-        chunks = with_faces(chunks, ["data"], layout, lambda _: [tuple(-x for x in s) for s in steps])
+    chained = kind.predictor == "difference" and anchor == "grid"
+    n = layout.ndim
+    steps = [s for s in np.ndindex(*(2,) * n) if any(s)]
+
+    def send(row):
+        q = dense(row, layout)
+        _, _, dims = place(row, layout)
+        for code, s in enumerate(steps):  # the last layers go to the chunks after this one
+            cell = [row["ci"], row["cj"], row["ck"]]
+            cell[:n] = [c + x for c, x in zip(cell, s)]
+            if all(c * e < d for c, e, d in zip(cell, layout.chunk, dims)):
+                yield head(row, cell) | {"code": code, "v": q[tuple(slice(-1, None) if x else slice(None) for x in s)].ravel()}
+
+    if chained:
+        chunks = with_messages(chunks, kernel(chunks, send, MESSAGE))
 
     def run(row):
-        if "own" in row:
-            (a,), lo, shape, _ = padded(row, layout)
-            p = predict_differences(a[tuple(slice(0, -1) for _ in shape)])
-        else:
-            lo, shape, _ = place(row, layout)
-            p = row["data"].reshape(shape)
-            if kind.predictor == "difference":
-                p = predict_differences(np.pad(p, [(1, 0)] * layout.ndim))
+        p = dense(row, layout)
+        shape = p.shape
+        if kind.predictor == "difference":
+            p = np.pad(p, [(1, 0)] * n)
+            for code, v in row["got"] if chained else ():
+                at = tuple(slice(0, 1) if x else slice(1, None) for x in steps[code])
+                p[at] = v.reshape(p[at].shape)
+            p = predict_differences(p)
         order, sizes = block_order(shape, layout.block)
         p = p.ravel()[order].astype(np.int64)
         meta = np.zeros(0, np.int64)
@@ -94,7 +106,7 @@ def compress_chunks(chunks: DataFrame, codec: str, layout: Layout, anchor: str =
             meta = block_meta(kind.predictor, p, sizes)
             p = in_block_difference(p, sizes) if kind.predictor == "first" else p - np.repeat(meta, sizes)
         width, payload = encode_fixed(p, sizes)
-        yield {k: row[k] for k in (*KEY, "eps", "d0", "d1", "d2")} | {"codec": name, "n": sizes, "meta": meta, "width": width, "payload": payload}
+        yield head(row) | {"codec": name, "n": sizes, "meta": meta, "width": width, "payload": payload}
 
     return kernel(chunks, run, CONTAINER)
 
@@ -119,6 +131,31 @@ def decoded(row: dict, layout: Layout) -> tuple[np.ndarray, np.ndarray, np.ndarr
     return back, means, order, shape
 
 
+def residual_array(row: dict, layout: Layout) -> np.ndarray:
+    p, _, _, shape = decoded(row, layout)
+    return p.reshape(shape)
+
+
+def integers(row: dict, layout: Layout, anchor: str = "grid") -> np.ndarray:
+    """The quantised integers of a container row, with the carries that it got where its codec needs them."""
+    p, means, _, shape = decoded(row, layout)
+    p = p.reshape(shape)
+    if codec_of(row["codec"]).predictor != "difference":
+        return p + means.reshape(shape)
+    if anchor == "grid":
+        return prefix_with_carry(p, row)
+    for a in range(p.ndim):
+        p = p.cumsum(axis=a)
+    return p
+
+
+def with_carries(container: DataFrame, codec: str, layout: Layout, anchor: str = "grid") -> DataFrame:
+    """Container rows with what integers() needs; the difference codecs' carries take one pass over it."""
+    if CODECS[codec].predictor != "difference" or anchor != "grid":
+        return container
+    return with_messages(container, carries(container, layout, lambda row: residual_array(row, layout)))
+
+
 def partial_decompress(container: DataFrame, codec: str, layout: Layout, stage: str, anchor: str = "grid") -> DataFrame:
     """The container at ``stage``: META (n, meta), or RESID, QUANT or VALUE chunks in ``data``.
 
@@ -126,34 +163,21 @@ def partial_decompress(container: DataFrame, codec: str, layout: Layout, stage:
     """
     if stage != QUANT:
         require(codec, stage)
-    keys = [*KEY, "eps", "d0", "d1", "d2"]
     if stage == META:
-        return container.select(*keys, "n", "meta")
-
-    def residuals(row):
-        p, means, _, _ = decoded(row, layout)
-        yield {k: row[k] for k in keys} | {"data": p, "means": means}
-
-    out = kernel(container, residuals, f"{HEAD}, data array<bigint>, means array<bigint>")
+        return container.select(*KEY, "eps", "d0", "d1", "d2", "n", "meta")
     if stage == RESID:
-        return out
-    if CODECS[codec].predictor == "difference":
-        axes = list(range(layout.ndim))
 
-        def restore(row):
-            yield {k: row[k] for k in keys} | {"data": prefix_with_carry(row, layout, axes).ravel()}
+        def residuals(row):
+            p, means, _, _ = decoded(row, layout)
+            yield head(row) | {"data": p, "means": means}
 
-        out = (carries(out, layout, axes) if anchor == "grid" else out.withColumn("carry", F.lit(None).cast("array<struct<s:bigint,pos:bigint,v:bigint>>")))
-        out = kernel(out.drop("means"), restore, f"{HEAD}, data array<bigint>")
-    else:
+        return kernel(container, residuals, f"{HEAD}, data array<bigint>, means array<bigint>")
 
-        def restore(row):
-            yield {k: row[k] for k in keys} | {"data": row["data"] + row["means"]}
+    def restore(row):
+        q = integers(row, layout, anchor).ravel()
+        yield head(row) | {"data": q if stage == QUANT else q.astype(np.float64) * (2 * row["eps"])}
 
-        out = kernel(out, restore, f"{HEAD}, data array<bigint>")
-    if stage == VALUE:
-        return out.select(*keys, F.transform("data", lambda q: q.cast("double") * (2 * F.col("eps"))).alias("data"))
-    return out
+    return kernel(with_carries(container, codec, layout, anchor), restore, f"{HEAD}, data array<{'bigint' if stage == QUANT else 'double'}>")
 
 
 def to_points(chunks: DataFrame, layout: Layout, dims: tuple[int, ...] | None = None) -> DataFrame:

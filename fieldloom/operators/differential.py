@@ -1,112 +1,283 @@
 """Derivatives, Laplacian, divergence and curl at RESID, QUANT and VALUE.
 
-Integers first, the scale last.  Mean codecs at RESID difference the residuals and add the difference of
-block means; difference codecs at RESID use prefix sums over the other axes, so along the axis itself
-nothing is scanned.
+Integers first, the scale last.  All stages come down to the steps of the integers from point to point
+along each axis.  Mean codecs at RESID add the steps of residuals and of block means; difference codecs
+at RESID get the steps along an axis as prefix sums over the other axes, so along the axis itself nothing
+is scanned; QUANT takes the differences of integers; VALUE goes on from the doubles of the full flow.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import dataclass
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fieldloom.model import CODECS, QUANT, RESID, VALUE, Layout, UnsupportedStage, require
-from fieldloom.operators.chunks import HEAD, KEY, carries, flat_kernel, kernel, padded, place, prefix_with_carry, with_faces
-from fieldloom.operators.codecs import partial_decompress, to_points
+from fieldloom.operators.chunks import CELLS, FACE, GHOST, GRID, HEAD, KEY, carried, carries, faces, flat_kernel, kernel, kept, layer, place, sides, with_messages
+from fieldloom.operators.codecs import decoded, integers, partial_decompress, residual_array, with_carries
+
+#: What a derivative is where a neighbour is missing: the point is left out, or the derivative is null, or the missing
+#: neighbour equals the point, or is the grid's other end, or the difference to the one neighbour counts twice.
+BOUNDARIES = ("interior", "null", "clamp", "periodic", "one_sided")
 
-KEYS = [*KEY, "eps", "d0", "d1", "d2"]
 
+@dataclass(frozen=True)
+class Reading:
+    """How a kernel reads prepared chunk rows; ``steps(row)`` gives (integers or None, steps along each axis).
 
-def unit(a: int, n: int, sign: int = 1) -> tuple[int, ...]:
-    return tuple(sign if b == a else 0 for b in range(n))
+    Steps along an axis are one more than the points there: from the neighbour before the first to the
+    first, and so on to the neighbour after the last.  At the rim of the grid they mean nothing.
+    """
+
+    layout: Layout
+    stage: str
+    steps: Callable[[dict], tuple[np.ndarray | None, list[np.ndarray]]]
+    boundary: str = "interior"
+
+
+@dataclass(frozen=True)
+class Ready:
+    """Chunk rows with what a stencil needs, and how to read them."""
+
+    rows: DataFrame
+    how: Reading
+
+
+def cut(a: np.ndarray, axis: int, start: int | None, stop: int | None) -> np.ndarray:
+    return a[tuple(slice(start, stop) if b == axis else slice(None) for b in range(a.ndim))]
+
+
+def summed_over_others(p: np.ndarray, axis: int) -> np.ndarray:
+    for b in range(p.ndim):
+        if b != axis:
+            p = p.cumsum(axis=b)
+    return p
+
+
+def chained_steps(row: dict, layout: Layout, full: bool) -> tuple[np.ndarray | None, list[np.ndarray]]:
+    """Steps of a difference codec's row from its residuals, its carries and the next chunks' first layers."""
+    p = residual_array(row, layout)
+    got, carry = dict(row["got"]), carried(row, p.shape)
+    q = integers(row, layout) if full else None
+    out = []
+    for a in range(p.ndim):
+        shape = kept(p.shape, 1 << a)
+        ahead = np.zeros(shape, np.int64)
+        if FACE + 2 * a + 1 in got:
+            ahead = summed_over_others(got[FACE + 2 * a + 1].reshape(shape), a)
+            for code, v in got.items():
+                if code // GHOST == a + 1:
+                    ahead = ahead + v.reshape(kept(shape, code % GHOST))
+        own = [(s, v) for s, v in carry if not s >> a & 1]
+        if full:
+            first = summed_over_others(layer(p, a, False), a)
+            for _, v in own:
+                first = first + layer(v, a, False)
+            out.append(np.concatenate([first, np.diff(q, axis=a), ahead], axis=a))
+        else:
+            back = summed_over_others(p, a)
+            for _, v in own:
+                back = back + np.diff(v, axis=a, prepend=0)
+            out.append(np.concatenate([back, ahead], axis=a))
+    return q, out
+
+
+def widened(arrays: list[np.ndarray], row: dict, axis: int) -> list[np.ndarray]:
+    """Arrays with the neighbours' layers at both ends of an axis; zeros where there is none."""
+    got = dict(row["got"])
+    ends = []
+    for code in (FACE + 2 * axis, FACE + 2 * axis + 1):
+        v = got.get(code)
+        ends.append(np.split(v, len(arrays)) if v is not None else [np.zeros(0, x.dtype) for x in arrays])
+    out = []
+    for x, *around in zip(arrays, *ends):
+        shape = kept(x.shape, 1 << axis)
+        low, high = (v.reshape(shape) if v.size else np.zeros(shape, x.dtype) for v in around)
+        out.append(np.concatenate([low, x, high], axis=axis))
+    return out
 
 
-def shifted(a: np.ndarray, axis: int, by: int) -> np.ndarray:
-    """The inner part of a padded array, moved along one axis."""
-    return a[tuple(slice(1 + (by if b == axis else 0), a.shape[b] - 1 + (by if b == axis else 0)) for b in range(a.ndim))]
+def faced_steps(arrays: Callable[[dict], list[np.ndarray]], whole: bool):
+    """Steps of rows that can be read on their own: those of each of ``arrays`` added up."""
 
+    def steps(row):
+        own = arrays(row)
+        return own[0] if whole else None, [sum(np.diff(w, axis=a) for w in widened(own, row, a)) for a in range(own[0].ndim)]
 
-def derivatives(container: DataFrame, codec: str, layout: Layout, stage: str, anchor: str = "grid") -> DataFrame:
-    """(field, eps, i, j, k, d0, d1, d2, lap) of the points with all neighbours.
+    return steps
 
-    d0 to d2 are differences of both neighbours' integers (times eps: the derivative), lap the neighbours'
-    sum less twice the number of axes times the centre (times 2 eps: the Laplacian).
+
+def prepared(container: DataFrame, codec: str, layout: Layout, stage: str, anchor: str = "grid", boundary: str = "interior", dims: tuple[int, ...] | None = None, work: Layout | None = None) -> Ready:
+    """The container, ready for stencils at ``stage``.
+
+    One-dimensional codecs of fields of more dimensions are folded from chunk to chunk into ``work``'s
+    boxes of the grid ``dims``.
     """
-    n = layout.ndim
-    axes = list(range(n))
-    require(codec, stage, "gradient")
-    if stage == RESID and CODECS[codec].predictor == "difference":
-        base = partial_decompress(container, codec, layout, RESID, anchor).drop("means")
-        # column a: prefix over all axes but a, which is the backward difference along a
-        for a in axes:
-            others = [x for x in axes if x != a]
-
-            def run(row, others=others, a=a):
-                out = prefix_with_carry(row, layout, others).ravel() if others else row["data"]
-                yield {k: row[k] for k in KEYS} | {"data": row["data"]} | {f"b{x}": row[f"b{x}"] for x in range(a)} | {f"b{a}": out}
-
-            ready = carries(base, layout, others) if others else base
-            base = kernel(ready, run, f"{HEAD}, data array<bigint>, {', '.join(f'b{x} array<bigint>' for x in range(a + 1))}")
-        faced = with_faces(base, [f"b{a}" for a in axes], layout, lambda c: [unit(c, n)])
-
-        def step(arrays):
-            here = [shifted(arrays[a], a, 0) for a in axes]
-            ahead = [shifted(arrays[a], a, 1) for a in axes]
-            return [h + f for h, f in zip(here, ahead)], sum(f - h for h, f in zip(here, ahead))
+    if boundary not in BOUNDARIES:
+        raise ValueError(f"boundary {boundary!r} is none of {BOUNDARIES}")
+    periodic = boundary == "periodic"
+    kind = CODECS[codec]
+    if kind.flat and dims is not None and len(dims) > 1:
+        require(codec, stage, "gradient")
+        return folded(container, codec, layout, stage, dims, work, anchor, boundary)
+    if not (kind.flat and stage == RESID and kind.predictor == "difference"):  # a field of one dimension has steps at RESID
+        require(codec, stage, "gradient")
+    chained = kind.predictor == "difference" and anchor == "grid"
+    if chained and not periodic:
+        full = stage != RESID
+        messages = carries(container, layout, lambda row: residual_array(row, layout), full=full, ghosts=True)
+        return Ready(with_messages(container, messages), Reading(layout, stage, lambda row: chained_steps(row, layout, full), boundary))
+    if kind.predictor == "difference" and stage == RESID:
+        raise UnsupportedStage(f"{codec} has no residuals across the rim, or across chunks that start anew")
+    if chained:
+        rows = partial_decompress(container, codec, layout, QUANT)
+        arrays = lambda row: [row["data"].reshape(place(row, layout)[1])]
     elif stage == RESID:
-        base = partial_decompress(container, codec, layout, RESID, anchor)
-        faced = with_faces(base, ["data", "means"], layout, lambda _: [unit(a, n, s) for a in axes for s in (1, -1)])
-
-        def step(arrays):
-            p, m = arrays
-            d = [(shifted(p, a, 1) - shifted(p, a, -1)) + (shifted(m, a, 1) - shifted(m, a, -1)) for a in axes]
-            inside = sum(shifted(p, a, 1) + shifted(p, a, -1) for a in axes) - 2 * n * shifted(p, 0, 0)
-            across = sum((shifted(m, a, 1) - shifted(m, a, 0)) + (shifted(m, a, -1) - shifted(m, a, 0)) for a in axes)
-            return d, inside + across
-    elif stage == QUANT:
-        base = partial_decompress(container, codec, layout, QUANT, anchor)
-        faced = with_faces(base, ["data"], layout, lambda _: [unit(a, n, s) for a in axes for s in (1, -1)])
-
-        def step(arrays):
-            q = arrays[0]
-            return [shifted(q, a, 1) - shifted(q, a, -1) for a in axes], sum(shifted(q, a, 1) + shifted(q, a, -1) for a in axes) - 2 * n * shifted(q, 0, 0)
+        rows = container
+
+        def arrays(row):
+            p, means, _, shape = decoded(row, layout)
+            return [p.reshape(shape), means.reshape(shape)]
+
     else:
-        raise UnsupportedStage(f"integers of {codec} have no {stage}; value_derivatives() starts from values")
+        rows = container
+        arrays = lambda row: [integers(row, layout, anchor)]
+    return Ready(with_messages(rows, faces(rows, layout, arrays, periodic)), Reading(layout, stage, faced_steps(arrays, stage != RESID), boundary))
+
+
+def folded(container: DataFrame, codec: str, layout: Layout, stage: str, dims: tuple[int, ...], work: Layout, anchor: str, boundary: str) -> Ready:
+    """Boxes with one layer around them, from the chunks of a flattened field: each point goes where it is needed, once."""
+    n, periodic = len(dims), boundary == "periodic"
+    box, extent = np.array(work.chunk, np.int64), np.array(dims, np.int64)
+    many = -(-extent // box)
+
+    def send(row):
+        q = integers(row, layout, anchor).ravel()
+        at = np.array(np.unravel_index(int(row["ci"]) * layout.chunk[0] + np.arange(len(q)), dims), np.int64)
+        cell, inner = np.divmod(at, box[:, None])
+        found = [(np.arange(len(q)), cell, inner + 1)]
+        for a in range(n):
+            for step in (-1, 1):  # the point is the layer after the box of the point before it, and the reverse
+                y = at[a] + step
+                if periodic:
+                    y = y % extent[a]
+                edge = (y % box[a] == box[a] - 1) | (y == extent[a] - 1) if step < 0 else y % box[a] == 0
+                pick = np.flatnonzero(edge & (y >= 0) & (y < extent[a]))
+                to, place_ = cell[:, pick].copy(), inner[:, pick] + 1
+                to[a], place_[a] = y[pick] // box[a], y[pick] % box[a] + 1 - step
+                found.append((pick, to, place_))
+        which, to, place_ = (np.concatenate(c, axis=-1) for c in zip(*found))
+        sizes = np.minimum(box[:, None], extent[:, None] - to * box[:, None]) + 2
+        pos = np.zeros(len(which), np.int64)
+        target = np.zeros(len(which), np.int64)
+        for a in range(n):
+            pos = pos * sizes[a] + place_[a]
+            target = target * many[a] + to[a]
+        order = np.argsort(target, kind="stable")
+        cuts = np.flatnonzero(np.diff(target[order], prepend=-1))
+        for s, e in zip(cuts.tolist(), [*cuts[1:].tolist(), len(order)]):
+            own = order[s:e]
+            at_cell = [int(x) for x in to[:, own[0]]] + [0, 0]
+            facts = {"field": row["field"], "eps": row["eps"]} | dict(zip(CELLS, at_cell)) | dict(zip(GRID[1:], [*dims, 1, 1]))
+            yield facts | {"pos": pos[own].astype(np.int32), "v": q[which[own]]}
+
+    parts = kernel(with_carries(container, codec, layout, anchor), send, f"{HEAD}, pos array<int>, v array<bigint>")
+    rows = parts.groupBy(*KEY).agg(*[F.first(g).alias(g) for g in GRID], F.collect_list(F.struct("pos", "v")).alias("parts"))
+
+    def steps(row):
+        _, shape, _ = place(row, work)
+        w = np.zeros([s + 2 for s in shape], np.int64)
+        for pos, v in row["parts"]:
+            w.ravel()[pos] = v
+        inside = tuple(slice(1, -1) for _ in shape)
+        return w[inside], [np.diff(w[tuple(slice(None) if b == a else slice(1, -1) for b in range(n))], axis=a) for a in range(n)]
+
+    return Ready(rows, Reading(work, stage, steps, boundary))
+
+
+def local(how: Reading, row: dict) -> dict:
+    """Of one chunk: ``at`` (coordinates), ``keep`` (points with a result), ``d`` (a derivative for each axis) and ``lap``.
+
+    Integers are differences of both neighbours, times eps the derivative, and the neighbours' sum less
+    twice the number of axes times the centre, times twice eps the Laplacian; VALUE gives both as doubles.
+    """
+    lo, shape, dims = place(row, how.layout)
+    q, steps = how.steps(row)
+    n, mode = len(shape), how.boundary
+    at = np.indices(shape, sparse=True)
+    at = [x + o for x, o in zip(at, lo)]
+    whole = np.ones(shape, bool)
+    d, rims, total = [], [], None
+    for a in range(n):
+        back, ahead = cut(steps[a], a, None, -1), cut(steps[a], a, 1, None)
+        first, last = np.broadcast_to(at[a] == 0, shape), np.broadcast_to(at[a] == dims[a] - 1, shape)
+        rim = first | last
+        if mode == "clamp":
+            back, ahead = np.where(first, 0, back), np.where(last, 0, ahead)
+        elif mode == "one_sided":  # on an axis of one point nothing is to either side
+            back, ahead = np.where(first, np.where(last, 0, ahead), back), np.where(last, np.where(first, 0, back), ahead)
+        if how.stage == VALUE:
+            scale = 2 * row["eps"]
+            v, low, high = (x.astype(np.float64) * scale for x in (q, q - back, q + ahead))
+            one = (high - low) / 2
+            if mode == "one_sided":
+                one = np.where(first & ~last, high - v, np.where(last & ~first, v - low, one))
+                low, high = np.where(rim, v, low), np.where(rim, v, high)
+            d.append(one)
+            total = high + low if total is None else total + (high + low)
+        else:
+            d.append(ahead + back)
+            total = ahead - back if total is None else total + (ahead - back)
+        rims.append(rim)
+        whole &= ~rim
+    if how.stage == VALUE:
+        total = total - 2.0 * n * v
+    keep = whole if mode == "interior" else np.ones(shape, bool)
+    if mode == "null":
+        d = [np.ma.MaskedArray(x, r) for x, r in zip(d, rims)]
+        total = np.ma.MaskedArray(total, ~whole)
+    return {"at": [np.broadcast_to(x, shape) for x in at], "keep": keep, "d": d, "lap": total}
+
+
+def places(found: dict) -> dict:
+    """Columns i, j, k of the points with a result."""
+    zero = np.zeros(int(found["keep"].sum()), np.int64)
+    n = len(found["at"])
+    return {c: found["at"][a][found["keep"]] if a < n else zero for a, c in enumerate("ijk")}
+
+
+def stencilled(ready: Ready) -> DataFrame:
+    """(field, eps, i, j, k, d0, d1, d2, lap) of local(), point by point."""
+    how = ready.how
+    kind = "double" if how.stage == VALUE else "bigint"
 
     def run(row):
-        arrays, lo, shape, dims = padded(row, layout)
-        d, lap = step(arrays)
-        at = np.indices(shape)
-        inner = np.ones(shape, bool)
-        for a in axes:
-            at[a] += lo[a]
-            inner &= (at[a] > 0) & (at[a] < dims[a] - 1)
-        zero = np.zeros(int(inner.sum()), np.int64)
-        out = {"field": row["field"], "eps": row["eps"], "lap": lap[inner]}
-        for a, c in enumerate("ijk"):
-            out[c] = at[a][inner] if a < n else zero
-            out[f"d{a}"] = d[a][inner] if a < n else zero
-        return out
-
-    return flat_kernel(faced, run, "field string, eps double, i bigint, j bigint, k bigint, d0 bigint, d1 bigint, d2 bigint, lap bigint")
-
-
-def grid_derivatives(container: DataFrame, codec: str, layout: Layout, stage: str, dims: tuple[int, ...], work: Layout, anchor: str = "grid") -> DataFrame:
-    """derivatives() for any codec: one-dimensional codecs are folded back into ``dims`` at QUANT first."""
-    if not CODECS[codec].flat:
-        return derivatives(container, codec, layout, stage, anchor)
-    require(codec, stage, "gradient")
-    if stage != QUANT:
+        f = local(how, row)
+        at = places(f)
+        d = {f"d{a}": f["d"][a][f["keep"]] if a < len(f["d"]) else np.zeros(len(at["i"]), np.float64 if kind == "double" else np.int64) for a in range(3)}
+        return {"field": row["field"], "eps": row["eps"], "lap": f["lap"][f["keep"]]} | at | d
+
+    return flat_kernel(ready.rows, run, f"field string, eps double, i bigint, j bigint, k bigint, d0 {kind}, d1 {kind}, d2 {kind}, lap {kind}")
+
+
+def derivatives(container: DataFrame, codec: str, layout: Layout, stage: str, anchor: str = "grid", boundary: str = "interior") -> DataFrame:
+    """(field, eps, i, j, k, d0, d1, d2, lap): integers at RESID and QUANT.
+
+    d0 to d2 times eps are the derivatives, lap times 2 eps the Laplacian; axes that the field lacks give 0.
+    """
+    if stage not in (RESID, QUANT):
         raise UnsupportedStage(f"integers of {codec} have no {stage}; value_derivatives() starts from values")
-    from fieldloom.operators.chunks import to_chunks
-    from fieldloom.operators.codecs import compress_chunks
+    return stencilled(prepared(container, codec, layout, stage, anchor, boundary))
+
 
-    q = partial_decompress(container, codec, layout, QUANT, anchor)
-    d = [*dims, 1, 1][:3]
-    eps = F.broadcast(container.groupBy("field").agg(F.first("eps").alias("eps")))
-    points = to_points(q, layout, dims).withColumnRenamed("v", "q").join(eps, "field").withColumns({f"d{a}": F.lit(x).cast("bigint") for a, x in enumerate(d)})
-    return derivatives(compress_chunks(to_chunks(points, work), "meannd", work), "meannd", work, QUANT)
+def grid_derivatives(container: DataFrame, codec: str, layout: Layout, stage: str, dims: tuple[int, ...], work: Layout, anchor: str = "grid", boundary: str = "interior") -> DataFrame:
+    """derivatives() for any codec: one-dimensional codecs are folded into ``dims`` at QUANT."""
+    if stage not in (RESID, QUANT):
+        raise UnsupportedStage(f"integers of {codec} have no {stage}; value_derivatives() starts from values")
+    return stencilled(prepared(container, codec, layout, stage, anchor, boundary, dims if CODECS[codec].flat else None, work))
 
 
 def scaled(d: DataFrame, names: dict[str, str], factor: int = 1) -> DataFrame:
@@ -122,55 +293,67 @@ def laplacian(d: DataFrame) -> DataFrame:
     return scaled(d, {"lap": "lap"}, 2)
 
 
-def together(parts: list[DataFrame]) -> DataFrame:
-    """Components of a vector field, point by point: u0_, u1_, u2_ before each one's columns."""
-    named = [p.drop("field", "lap").withColumnsRenamed({c: f"u{n}_{c}" for c in ("eps", "d0", "d1", "d2")}) for n, p in enumerate(parts)]
-    out = named[0]
-    for other in named[1:]:
-        out = out.join(other, ["i", "j", "k"])
-    return out
+def value_derivatives(container: DataFrame, codec: str, layout: Layout, dims: tuple[int, ...] | None = None, anchor: str = "grid", work: Layout | None = None, boundary: str = "interior") -> DataFrame:
+    """The full flow, down to doubles and then central differences of these: (field, i, j, k, dx, dy, dz, lap)."""
+    n = len(dims) if dims else layout.ndim
+    d = stencilled(prepared(container, codec, layout, VALUE, anchor, boundary, dims if CODECS[codec].flat else None, work))
+    return d.select("field", "i", "j", "k", *[F.col(f"d{a}").alias("dx dy dz".split()[a]) for a in range(n)], "lap")
 
 
-def piece(n: int, a: int):
-    """The derivative of component ``n`` along axis ``a``, by its own bound."""
-    return F.col(f"u{n}_d{a}") * F.col(f"u{n}_eps")
+def vector_kernel(parts: list[Ready], names: list[str], combine: Callable[[list[list[np.ndarray]]], list[np.ndarray]]) -> DataFrame:
+    """(i, j, k, *names) of a vector field: ``combine`` sees the scaled derivatives, [component][axis].
 
+    Components meet chunk by chunk, still compressed; each is decoded once and scaled by its own bound.
+    """
+    joined = None
+    for n, p in enumerate(parts):
+        one = p.rows.select(*CELLS, F.struct(*p.rows.columns).alias(f"u{n}"))
+        joined = one if joined is None else joined.join(one, CELLS)
 
-def divergence(parts: list[DataFrame]) -> DataFrame:
-    """(i, j, k, result): each component along its own axis, scaled by its own bound before the addition."""
-    total = piece(0, 0)
-    for a in range(1, len(parts)):
-        total = total + piece(a, a)
-    return together(parts).select("i", "j", "k", total.alias("result"))
+    hows = [p.how for p in parts]
 
+    def run(row):
+        d, out = [], None
+        for n, how in enumerate(hows):
+            f = local(how, row[f"u{n}"])
+            out = out or places(f)
+            d.append([x[f["keep"]] * (1.0 if how.stage == VALUE else row[f"u{n}"]["eps"]) for x in f["d"]])
+        return out | dict(zip(names, combine(d)))
 
-def curl(parts: list[DataFrame], sign: str = "paper") -> DataFrame:
-    """(i, j, k, result) in the plane, with the first component along y less the second along x, or its
-    negative for ``sign='standard'``; three components give (curl_x, curl_y, curl_z) in standard orientation."""
-    t = together(parts)
-    if len(parts) == 2:
-        r = piece(0, 1) - piece(1, 0)
-        return t.select("i", "j", "k", (-r if sign == "standard" else r).alias("result"))
-    return t.select("i", "j", "k", (piece(2, 1) - piece(1, 2)).alias("curl_x"), (piece(0, 2) - piece(2, 0)).alias("curl_y"), (piece(1, 0) - piece(0, 1)).alias("curl_z"))
+    return flat_kernel(joined, run, "i bigint, j bigint, k bigint, " + ", ".join(f"{n} double" for n in names))
 
 
-def value_derivatives(container: DataFrame, codec: str, layout: Layout, dims: tuple[int, ...] | None = None, anchor: str = "grid") -> DataFrame:
-    """The full flow: decompress to doubles, then central differences by windows; (field, i, j, k, dx, dy, dz, lap)."""
-    from pyspark.sql import Window
+def curl_3d(d: list) -> list:
+    return [d[2][1] - d[1][2], d[0][2] - d[2][0], d[1][0] - d[0][1]]
 
-    require(codec, VALUE)
-    v = to_points(partial_decompress(container, codec, layout, VALUE, anchor), layout, dims if CODECS[codec].flat else None)
-    n = len(dims) if dims else layout.ndim
-    out, total = v, None
-    for a, c in enumerate("ijk"[:n]):
-        w = Window.partitionBy("field", *[x for x in "ijk" if x != c]).orderBy(c)
-        out = out.withColumn(f"lo{a}", F.lag("v").over(w)).withColumn(f"hi{a}", F.lead("v").over(w))
-        both = F.col(f"hi{a}") + F.col(f"lo{a}")
-        total = both if total is None else total + both
-    out = out.where(" and ".join(f"lo{a} is not null and hi{a} is not null" for a in range(n)))
-    return out.select("field", "i", "j", "k", *[((F.col(f"hi{a}") - F.col(f"lo{a}")) / 2).alias("dx dy dz".split()[a]) for a in range(n)], (total - 2.0 * n * F.col("v")).alias("lap"))
-
-
-def value_parts(d: DataFrame, ndim: int) -> DataFrame:
-    """value_derivatives() as a component for divergence() and curl(): derivatives in d0 to d2, with 1 for their scale."""
-    return d.select("field", F.lit(1.0).alias("eps"), "i", "j", "k", *[(F.col("dx dy dz".split()[a]) if a < ndim else F.lit(0.0)).alias(f"d{a}") for a in range(3)], "lap")
+
+def divergence(parts: list[Ready] | list[DataFrame]) -> DataFrame:
+    """(i, j, k, result): each component along its own axis, scaled by its own bound before the addition."""
+
+    def total(d):
+        out = d[0][0]
+        for a in range(1, len(d)):
+            out = out + d[a][a]
+        return [out]
+
+    return combined(parts, ["result"], total)
+
+
+def curl(parts: list[Ready] | list[DataFrame], sign: str = "paper") -> DataFrame:
+    """(i, j, k, result) in the plane, with the first component along y less the second along x, or its
+    negative for ``sign='standard'``; three components give (curl_x, curl_y, curl_z) in standard orientation."""
+    if len(parts) == 3:
+        return combined(parts, ["curl_x", "curl_y", "curl_z"], curl_3d)
+    return combined(parts, ["result"], lambda d: [-(d[0][1] - d[1][0]) if sign == "standard" else d[0][1] - d[1][0]])
+
+
+def combined(parts: list, names: list[str], combine: Callable) -> DataFrame:
+    """vector_kernel() of prepared components, or the same over their derivatives() point by point."""
+    if isinstance(parts[0], Ready):
+        return vector_kernel(parts, names, combine)
+    joined = None
+    for n, p in enumerate(parts):
+        one = p.select("i", "j", "k", *[(F.col(f"d{a}") * F.col("eps")).alias(f"u{n}_{a}") for a in range(3)])
+        joined = one if joined is None else joined.join(one, ["i", "j", "k"])
+    made = combine([[F.col(f"u{n}_{a}") for a in range(3)] for n in range(len(parts))])
+    return joined.select("i", "j", "k", *[c.alias(name) for name, c in zip(names, made)])

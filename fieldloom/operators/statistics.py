@@ -7,17 +7,38 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fieldloom.model import CODECS, META, QUANT, RESID, VALUE, Layout, require
-from fieldloom.operators.chunks import KEY, carries, kernel, place, prefix_with_carry
-from fieldloom.operators.codecs import decoded, partial_decompress
+from fieldloom.operators.chunks import kernel, place
+from fieldloom.operators.codecs import decoded, integers, partial_decompress, residual_array, with_carries
 
 MOMENTS = "field string, eps double, n bigint, s1 decimal(38,0), s2 decimal(38,0), f double"
 
 
+SAFE = float(1 << 62)  # a bound on sums below which 64 bits hold them
+
+
 def whole(c: str) -> Column:
-    """An exact sum: chunks give 64 bits, their total 38 digits."""
+    """An exact sum of 38 digits."""
     return F.sum(F.col(c).cast("decimal(38,0)"))
 
 
+def largest(a: np.ndarray) -> float:
+    return max(float(a.max()), -float(a.min())) if a.size else 0.0
+
+
+def exact(*factors: np.ndarray) -> int:
+    """The sum of products of integers: in 64 bits where a bound says that they suffice, in whole numbers else."""
+    a = [f.ravel() for f in factors]
+    bound = float(a[0].size)
+    for f in a:
+        bound *= largest(f)
+    if bound >= SAFE:
+        a = [f.astype(object) for f in a]
+    out = a[0]
+    for f in a[1:]:
+        out = out * f
+    return int(out.sum())
+
+
 def moments(container: DataFrame, codec: str, layout: Layout, stage: str, anchor: str = "grid", squares: bool = True) -> DataFrame:
     """(field, eps, n, s1, s2): count, sum and sum of squares of the quantised integers, seen from ``stage``.
 
@@ -29,47 +50,48 @@ def moments(container: DataFrame, codec: str, layout: Layout, stage: str, anchor
     if stage == META:
         part = container.select("field", "eps", F.aggregate("n", F.lit(0).cast("bigint"), lambda a, x: a + x).alias("n"), F.aggregate(F.zip_with("n", "meta", lambda n, m: n * m), F.lit(0).cast("bigint"), lambda a, x: a + x).alias("s1"))
         return part.groupBy("field", "eps").agg(F.sum("n").alias("n"), whole("s1").alias("s1"))
-    keys = ["field", "eps"]
     if stage == RESID and kind.predictor == "difference" and not squares:
 
-        def run(row):
+        def sums(row):
             lo, shape, dims = place(row, layout)
-            p, _, _, _ = decoded(row, layout)
-            weight = np.ones(shape, object) if int(np.prod([float(d) for d in dims])) > 1 << 40 else np.ones(shape, np.int64)
-            for a, (x, s, d) in enumerate(zip(lo, shape, dims)):
-                weight = weight * (d - x - np.arange(s)).reshape([-1 if b == a else 1 for b in range(len(shape))])
-            yield {k: row[k] for k in keys} | {"n": int(np.prod(shape)), "s1": int((p.reshape(shape) * weight).sum()), "s2": 0}
-
-        part = kernel(container, run, "field string, eps double, n bigint, s1 bigint, s2 bigint")
-    elif stage == RESID and kind.predictor == "difference":
-        axes = list(range(layout.ndim))
-        resid = partial_decompress(container, codec, layout, RESID, anchor).drop("means")
-
-        def run(row):
-            q = prefix_with_carry(row, layout, axes)
-            yield {k: row[k] for k in keys} | {"n": q.size, "s1": int(q.sum()), "s2": int((q * q).sum())}
-
-        part = kernel(carries(resid, layout, axes), run, "field string, eps double, n bigint, s1 bigint, s2 bigint")
-    elif stage == RESID:
-
-        def run(row):
+            p = residual_array(row, layout)
+            # points of the grid that each residual is part of
+            weight = [(d - x - np.arange(s)).reshape([-1 if b == a else 1 for b in range(len(shape))]) for a, (x, s, d) in enumerate(zip(lo, shape, dims))]
+            if largest(p) * float(np.prod([float(d) for d in dims])) * p.size < SAFE:
+                for w in weight:
+                    p = p * w
+                return p.size, int(p.sum()), 0
+            for w in weight:
+                p = p.astype(object) * w.astype(object)
+            return p.size, int(p.sum()), 0
+
+        rows = container
+    elif stage == RESID and kind.predictor != "difference":
+
+        def sums(row):
             p, means, _, _ = decoded(row, layout)
             n, m, w = (np.asarray(row[c], np.int64) for c in ("n", "meta", "width"))
             # a constant block needs no residual: its share follows from its mean
-            total = int(p.sum() + (n * m).sum())
-            square = int(((p + means) ** 2).sum()) if (w > 0).any() else int((n * m * m).sum())
-            yield {k: row[k] for k in keys} | {"n": len(p), "s1": total, "s2": square}
+            if not (w > 0).any():
+                return len(p), exact(n, m), exact(n, m, m)
+            return len(p), exact(p) + exact(n, m), exact(p + means, p + means)
 
-        part = kernel(container, run, "field string, eps double, n bigint, s1 bigint, s2 bigint")
-    elif stage == QUANT:
-        q = partial_decompress(container, codec, layout, QUANT, anchor)
+        rows = container
+    elif stage in (RESID, QUANT):
+        rows = with_carries(container, codec, layout, anchor)
 
-        def run(row):
-            yield {k: row[k] for k in keys} | {"n": len(row["data"]), "s1": int(row["data"].sum()), "s2": int((row["data"] ** 2).sum())}
+        def sums(row):
+            q = integers(row, layout, anchor)
+            return q.size, exact(q), exact(q, q)
 
-        part = kernel(q, run, "field string, eps double, n bigint, s1 bigint, s2 bigint")
     else:
         raise ValueError(f"moments of integers have no stage {stage}")
+
+    def run(row):
+        n, s1, s2 = sums(row)
+        yield {"field": row["field"], "eps": row["eps"], "n": n, "s1": s1, "s2": s2}
+
+    part = kernel(rows, run, "field string, eps double, n bigint, s1 decimal(38,0), s2 decimal(38,0)")
     return part.groupBy("field", "eps").agg(F.sum("n").alias("n"), whole("s1").alias("s1"), whole("s2").alias("s2"))
 
 

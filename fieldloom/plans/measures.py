@@ -28,11 +28,10 @@ def ratio_rollup(ratios: DataFrame) -> DataFrame:
     return t.withColumn("ratio", F.col("raw_bytes").cast("double") / F.col("bytes").cast("double"))
 
 
-def gradients_and_curl(parts: list[DataFrame]) -> DataFrame:
+def gradients_and_curl(parts: list[dif.Ready]) -> DataFrame:
     """Three gradients and the curl of a velocity field, from one decompression of each component."""
-    t = dif.together(parts)
-    cols = [dif.piece(n, a).alias(f"{c}_d{x}") for n, c in enumerate("uvw") for a, x in enumerate("xyz")]
-    return t.select("i", "j", "k", *cols, (dif.piece(2, 1) - dif.piece(1, 2)).alias("curl_x"), (dif.piece(0, 2) - dif.piece(2, 0)).alias("curl_y"), (dif.piece(1, 0) - dif.piece(0, 1)).alias("curl_z"))
+    names = [f"{c}_d{x}" for c in "uvw" for x in "xyz"]
+    return dif.vector_kernel(parts, [*names, "curl_x", "curl_y", "curl_z"], lambda d: [x for own in d for x in own] + dif.curl_3d(d))
 
 
 def multi_sql(fields: list[str], rel: float) -> str:

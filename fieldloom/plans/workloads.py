@@ -50,13 +50,16 @@ def stages_of(codec: str, operation: str) -> list[str]:
     return [QUANT, VALUE] if CODECS[codec].flat else [RESID, QUANT, VALUE]
 
 
-def derived(f: Field, codec: str, stage: str, spark: SparkSession, sf: str) -> DataFrame:
-    c = packed(f, codec, spark, sf)
-    flat = CODECS[codec].flat
+def ready(f: Field, codec: str, stage: str, spark: SparkSession, sf: str, boundary: str = "interior") -> dif.Ready:
+    flat = CODECS[codec].flat and f.ndim > 1
     dims = extents(f, spark, sf) if flat else None
-    if stage == VALUE:
-        return dif.value_parts(dif.value_derivatives(c, codec, f.layout(flat), dims), f.ndim)
-    return dif.grid_derivatives(c, codec, f.layout(flat), stage, dims, f.layout())
+    return dif.prepared(packed(f, codec, spark, sf), codec, f.layout(CODECS[codec].flat), stage, boundary=boundary, dims=dims, work=f.layout())
+
+
+def derived(f: Field, codec: str, stage: str, spark: SparkSession, sf: str, boundary: str = "interior") -> DataFrame:
+    """Derivatives of a field, point by point; for VALUE as doubles dx, dy, dz, lap."""
+    d = dif.stencilled(ready(f, codec, stage, spark, sf, boundary))
+    return d if stage != VALUE else d.select("field", "i", "j", "k", *[F.col(f"d{a}").alias("dx dy dz".split()[a]) for a in range(f.ndim)], "lap")
 
 
 def statistic_queries() -> None:
@@ -90,17 +93,16 @@ def differential_queries() -> None:
     for codec, name in cases:
         f = FIELDS[name]
         for stage in stages_of(codec, "gradient"):
-            if stage == VALUE:
-                run = lambda s, d, f=f, c=codec: dif.value_derivatives(packed(f, c, s, d), c, f.layout(CODECS[c].flat), extents(f, s, d))
-                add(f"grad_{codec}_value_{name}", lambda s, d, r=run: r(s, d).drop("lap"), oracle.derivative_sql(name, VALUE, REL, "grad"))
-                add(f"lap_{codec}_value_{name}", lambda s, d, r=run: r(s, d).drop("dx", "dy", "dz"), oracle.derivative_sql(name, VALUE, REL, "lap"))
-            else:
-                add(f"grad_{codec}_{short(stage)}_{name}", lambda s, d, f=f, c=codec, g=stage: dif.gradient(derived(f, c, g, s, d), f.ndim), oracle.derivative_sql(name, stage, REL, "grad"))
-                add(f"lap_{codec}_{short(stage)}_{name}", lambda s, d, f=f, c=codec, g=stage: dif.laplacian(derived(f, c, g, s, d)), oracle.derivative_sql(name, stage, REL, "lap"))
+            run = lambda s, d, f=f, c=codec, g=stage: derived(f, c, g, s, d)
+            grad = (lambda s, d, r=run: r(s, d).drop("lap")) if stage == VALUE else (lambda s, d, r=run, f=f: dif.gradient(r(s, d), f.ndim))
+            lap = (lambda s, d, r=run: r(s, d).drop("dx", "dy", "dz")) if stage == VALUE else (lambda s, d, r=run: dif.laplacian(r(s, d)))
+            add(f"grad_{codec}_{short(stage)}_{name}", grad, oracle.derivative_sql(name, stage, REL, "grad"))
+            add(f"lap_{codec}_{short(stage)}_{name}", lap, oracle.derivative_sql(name, stage, REL, "lap"))
     f = FIELDS["evt_value"]
     for stage in (RESID, QUANT):
-        add(f"grad1d_chain1d_{short(stage)}_evt_value", lambda s, d, g=stage: dif.gradient(dif.derivatives(packed(FIELDS["evt_value"], "lorenzo", s, d), "lorenzo", FIELDS["evt_value"].layout(), g), 1), oracle.derivative_sql("evt_value", stage, REL, "grad"))
-        add(f"lap1d_chain1d_{short(stage)}_evt_value", lambda s, d, g=stage: dif.laplacian(dif.derivatives(packed(FIELDS["evt_value"], "lorenzo", s, d), "lorenzo", FIELDS["evt_value"].layout(), g)), oracle.derivative_sql("evt_value", stage, REL, "lap"))
+        run = lambda s, d, g=stage: derived(FIELDS["evt_value"], "chain1d", g, s, d)
+        add(f"grad1d_chain1d_{short(stage)}_evt_value", lambda s, d, r=run: dif.gradient(r(s, d), 1), oracle.derivative_sql("evt_value", stage, REL, "grad"))
+        add(f"lap1d_chain1d_{short(stage)}_evt_value", lambda s, d, r=run: dif.laplacian(r(s, d)), oracle.derivative_sql("evt_value", stage, REL, "lap"))
 
 
 def vector_queries() -> None:
@@ -109,14 +111,18 @@ def vector_queries() -> None:
         for fields, tag, where in ((plane, "2", "emb_uv"), (cube, "3", "emb3")):
             for stage in stages_of(codec, "gradient"):
                 sql = oracle.vector_value_sql if stage == VALUE else oracle.vector_sql
-                parts = lambda s, d, fs=fields, c=codec, g=stage: [derived(FIELDS[n], c, g, s, d) for n in fs]
+                parts = lambda s, d, fs=fields, c=codec, g=stage: [ready(FIELDS[n], c, g, s, d) for n in fs]
                 add(f"div{tag}_{codec}_{short(stage)}_{where}", lambda s, d, p=parts: dif.divergence(p(s, d)), sql(fields, REL, "div"))
                 add(f"curl{tag}_{codec}_{short(stage)}_{where}", lambda s, d, p=parts: dif.curl(p(s, d)), sql(fields, REL, "curl"))
-    add("curl2_standard_sign", lambda s, d: dif.curl([derived(FIELDS[n], "meannd", QUANT, s, d) for n in plane], "standard"), oracle.vector_sql(plane, REL, "curl", "standard"))
-    div = lambda s, d: dif.divergence([derived(FIELDS[n], "meannd", QUANT, s, d) for n in plane])
+    # components may have different codecs where both have integers
+    mixed = lambda s, d: [ready(FIELDS[n], c, QUANT, s, d) for n, c in zip(plane, ("lorenzo", "meannd"))]
+    add("div2_mixed_quant_emb_uv", lambda s, d: dif.divergence(mixed(s, d)), oracle.vector_sql(plane, REL, "div"))
+    add("curl2_mixed_quant_emb_uv", lambda s, d: dif.curl(mixed(s, d)), oracle.vector_sql(plane, REL, "curl"))
+    add("curl2_standard_sign", lambda s, d: dif.curl([ready(FIELDS[n], "meannd", QUANT, s, d) for n in plane], "standard"), oracle.vector_sql(plane, REL, "curl", "standard"))
+    div = lambda s, d: dif.divergence([ready(FIELDS[n], "meannd", QUANT, s, d) for n in plane])
     add("divfree_check_emb_uv", lambda s, d: div(s, d).agg(F.count("*").alias("points"), F.max(F.abs("result")).alias("largest"), (F.max(F.abs("result")) <= 1e-6).alias("free")), f"SELECT count(*) AS points, max(abs(result)) AS largest, max(abs(result)) <= 1e-6 AS free FROM ({oracle.vector_sql(plane, REL, 'div')})")
-    add("multi_grad_curl_meannd_quant", lambda s, d: measures.gradients_and_curl([derived(FIELDS[n], "meannd", QUANT, s, d) for n in cube]), measures.multi_sql(cube, REL))
-    add("multi_grad_curl_lorenzo_resid", lambda s, d: measures.gradients_and_curl([derived(FIELDS[n], "lorenzo", RESID, s, d) for n in cube]), measures.multi_sql(cube, REL))
+    for codec, stage in (("meannd", QUANT), ("lorenzo", RESID), ("lorenzo", QUANT), ("chain1d", QUANT), ("mean1d", QUANT)):
+        add(f"multi_grad_curl_{codec}_{short(stage)}", lambda s, d, c=codec, g=stage: measures.gradients_and_curl([ready(FIELDS[n], c, g, s, d) for n in cube]), measures.multi_sql(cube, REL))
 
 
 def pipeline_queries() -> None:
