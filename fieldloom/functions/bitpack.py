@@ -39,8 +39,8 @@ def encode_fixed(p: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, bytes]:
     at, starts = np.cumsum(many) - many, np.cumsum(sizes) - sizes
     for s, w, blocks in grouped(sizes, width):
         v = p[starts[blocks][:, None] + np.arange(s)].astype(np.int64)
-        mag = np.abs(v).astype(np.uint64)
-        bits = ((mag[:, :, None] >> np.arange(w, dtype=np.uint64)) & np.uint64(1)).astype(np.uint8).reshape(len(blocks), s * w)
+        mag = np.abs(v).astype("<u8").view(np.uint8).reshape(len(blocks), s, 8)[:, :, : -(-w // 8)]
+        bits = np.unpackbits(mag, axis=2, bitorder="little")[:, :, :w].reshape(len(blocks), s * w)
         both = np.hstack([np.packbits(v < 0, axis=1), np.packbits(bits, axis=1)])
         out[at[blocks][:, None] + np.arange(both.shape[1])] = both
     return width, out.tobytes()
@@ -55,8 +55,12 @@ def decode_fixed(width: np.ndarray, sizes: np.ndarray, payload: bytes) -> np.nda
         head = -(-s // 8)
         both = raw[at[blocks][:, None] + np.arange(int(many[blocks[0]]))]
         sign = np.unpackbits(both[:, :head], axis=1)[:, :s]
-        bits = np.unpackbits(both[:, head:], axis=1)[:, : s * w].reshape(len(blocks), s, w).astype(np.uint64)
-        mag = (bits << np.arange(w, dtype=np.uint64)).sum(axis=2, dtype=np.uint64).astype(np.int64)
+        bits = np.unpackbits(both[:, head:], axis=1)[:, : s * w].reshape(len(blocks), s, w)
+        part = np.packbits(bits, axis=2, bitorder="little")
+        size = next(b for b in (1, 2, 4, 8) if b >= part.shape[2])
+        if size != part.shape[2]:
+            part = np.concatenate([part, np.zeros((len(blocks), s, size - part.shape[2]), np.uint8)], axis=2)
+        mag = np.ascontiguousarray(part).view(f"<u{size}")[:, :, 0].astype(np.int64)
         out[starts[blocks][:, None] + np.arange(s)] = np.where(sign == 1, -mag, mag)
     return out
 

@@ -87,15 +87,38 @@ EVENTS_DUCK = """SELECT {cells}, CAST(coalesce(s, 0) AS DOUBLE) AS value FROM
 FLAT = {"cells": "CAST(d AS BIGINT) AS i, CAST(h AS BIGINT) AS j, CAST(0 AS BIGINT) AS k", "only": "t = 0", "type": "'click'"}
 DEEP = {"cells": "CAST(d AS BIGINT) AS i, CAST(h AS BIGINT) AS j, CAST(t AS BIGINT) AS k", "only": "t >= 0", "type": "event_type"}
 
+RANGE = 4096  # leading keys of a range that rows are numbered in
 LINE_ORDER = "l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_quantity, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate"
 
 
 def line_column(name: str, column: str) -> Field:
     """Rows of lineitem in a total order; its keys repeat, so the order takes all columns.
 
-    The running number is one window over the table: a cluster builds it once, from range partitions.
+    Rows are numbered within ranges of the leading key, and the ranges' counts are added up, so no window
+    holds more rows than there are ranges.
     """
-    return alike(name, 1, ("lineitem",), f"SELECT CAST(row_number() OVER (ORDER BY {LINE_ORDER}) - 1 AS BIGINT) AS i, CAST(0 AS BIGINT) AS j, CAST(0 AS BIGINT) AS k, {column} AS value FROM {{lineitem}}", (8192,))
+    cells = f"CAST({{n}} AS BIGINT) AS i, CAST(0 AS BIGINT) AS j, CAST(0 AS BIGINT) AS k, {column} AS value"
+    ranges = f"SELECT b, coalesce(sum(c) OVER (ORDER BY b ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM (SELECT l_orderkey DIV {RANGE} AS b, count(*) AS c FROM {{lineitem}} GROUP BY 1)"
+    spark = f"SELECT {cells.format(n=f'before + row_number() OVER (PARTITION BY b ORDER BY {LINE_ORDER}) - 1')} FROM (SELECT *, l_orderkey DIV {RANGE} AS b FROM {{lineitem}}) JOIN ({ranges}) USING (b)"
+    duck = f"SELECT {cells.format(n=f'row_number() OVER (ORDER BY {LINE_ORDER}) - 1')} FROM {{lineitem}}"
+    return Field(name, 1, ("lineitem",), spark, duck, (8192,))
+
+
+#: Ship month from January 1992 on, nation of the supplier, and line number; sums of decimals, 0 where no row is.
+LINE_CUBE = """SELECT CAST(m AS BIGINT) AS i, CAST(n AS BIGINT) AS j, CAST(l AS BIGINT) AS k, CAST(coalesce(s, 0) AS DOUBLE) AS value FROM
+ (SELECT m, n, l FROM {months} CROSS JOIN {nations} CROSS JOIN {lines})
+ LEFT JOIN (SELECT (year(l_shipdate) - 1992) * 12 + month(l_shipdate) - 1 AS m, s_nationkey AS n, l_linenumber - 1 AS l, sum(CAST({column} AS DECIMAL(18,2))) AS s
+  FROM {{lineitem}} JOIN {{supplier}} ON l_suppkey = s_suppkey GROUP BY ALL) USING (m, n, l)"""
+
+
+def line_cube(name: str, column: str) -> Field:
+    """A column of lineitem added up over the cells of a cube, whose extents come from the tables."""
+    last = "(SELECT max((year(l_shipdate) - 1992) * 12 + month(l_shipdate) - 1) FROM {{lineitem}})", "(SELECT max(n_nationkey) FROM {{nation}})", "(SELECT max(l_linenumber) - 1 FROM {{lineitem}})"
+    names = "mnl"
+    spark = {k: f"(SELECT explode(sequence(0, {x})) AS {c})" for k, c, x in zip(("months", "nations", "lines"), names, last)}
+    duck = {k: f"(SELECT unnest(range(0, {x} + 1)) AS {c})" for k, c, x in zip(("months", "nations", "lines"), names, last)}
+    made = [LINE_CUBE.format(column=column, **part).replace("{{", "{").replace("}}", "}") for part in (spark, duck)]
+    return Field(name, 3, ("lineitem", "supplier", "nation"), *made, (24, 12, 8))
 
 
 def polynomial(name: str, shape: tuple[int, ...], chunk: tuple[int, ...]) -> Field:
@@ -131,7 +154,40 @@ FIELDS = {
         line_column("line_qty", "l_quantity"),
         line_column("line_disc", "l_discount"),
         line_column("line_tax", "l_tax"),
+        line_cube("line_cube_price", "l_extendedprice"),
+        line_cube("line_cube_qty", "l_quantity"),
         polynomial("poly2d", (96, 80), (32, 32)),
         polynomial("poly3d", (24, 20, 28), (8, 8, 8)),
     )
 }
+
+
+def polynomial_chunks(spark: SparkSession, name: str, shape: tuple[int, ...], layout: Layout, rel: float) -> DataFrame:
+    """Quantised chunk rows of polynomial() at any size, made chunk by chunk: nothing is shuffled.
+
+    The range, which the bound is relative to, is that of the corners, edge middles and centre of the grid.
+    """
+    import numpy as np
+
+    from fieldloom.operators.chunks import HEAD, kernel, place
+
+    c = [s // 2 for s in shape]
+
+    def values(at):
+        u = [x - m for x, m in zip(at, c)]
+        return u[0] * u[0] - 3 * u[0] * u[1] + 2 * u[1] * u[1] if len(shape) == 2 else u[0] * u[0] + 2 * u[1] * u[2] - u[2] * u[2]
+
+    some = values(np.meshgrid(*[np.array([0, s // 4, s // 2, 3 * s // 4, s - 1], np.int64) for s in shape], indexing="ij"))
+    eps = rel * float(some.max() - some.min())
+    many = [-(-s // k) for s, k in zip(shape, layout.chunk)] + [1, 1]
+    total = many[0] * many[1] * many[2]
+    cell = {"ci": F.floor(F.col("id") / (many[1] * many[2])), "cj": F.pmod(F.floor(F.col("id") / many[2]), F.lit(many[1])), "ck": F.pmod(F.col("id"), F.lit(many[2]))}
+    dims = [F.lit(d).cast("bigint").alias(f"d{a}") for a, d in enumerate([*shape, 1, 1][:3])]
+    rows = spark.range(total).select(F.lit(name).alias("field"), *[e.cast("int").alias(n) for n, e in cell.items()], F.lit(eps).alias("eps"), *dims)
+
+    def run(row):
+        lo, extent, _ = place(row, layout)
+        v = values([x + o for x, o in zip(np.indices(extent, sparse=True), lo)]).astype(np.float64)
+        yield row | {"data": np.floor(v / (2 * row["eps"]) + 0.5).astype(np.int64).ravel()}
+
+    return kernel(rows, run, f"{HEAD}, data array<bigint>")
