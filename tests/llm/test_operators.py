@@ -381,3 +381,51 @@ def test_language_draw_keeps_each_language(spark):
     rows += [("un autre texte pour la langue", "fr"), (None, "fr"), ("123", "fr"), ("no label", None)]
     got = Counter(lang for lang, _ in language_id.training_rows(spark.createDataFrame(rows, "text string, lang string"), 200))
     assert got == {"fr": 2, "en": 100}
+
+
+#: Text, and what of it is secret.
+LABELLED = [
+    ('password = "hT7#kq92Lm"', ["hT7#kq92Lm"]),
+    ("db:\n  password: |\n    hT7kq92Lm\n    Zp0xW81\n  user: bob\n", ["hT7kq92Lm", "Zp0xW81"]),
+    ('API_SECRET = """hT7kq92LmZp0"""', ["hT7kq92LmZp0"]),
+    ("<conf><password>hT7kq92Lm</password><user>alice</user></conf>", ["hT7kq92Lm"]),
+    ('client.setPassword("hT7kq92Lm");', ["hT7kq92Lm"]),
+    ('new Login().withToken("Zp0xW81QqLm2", 3)', ["Zp0xW81QqLm2"]),
+    ("mysql --user bob --password hT7kq92Lm --host db", ["hT7kq92Lm"]),
+    ("PW=hT7kq92Lm\nrun --password $PW\n", ["hT7kq92Lm"]),
+    ('API_TOKEN := os.Getenv("API_TOKEN")', []),
+    ("token = config.auth.token", []),
+    ('secret = load_secret("path/to/it")', []),
+    ("# old: password = 'hT7kq92Lm'\npassword = ask()", ["hT7kq92Lm"]),
+    ('/* token: "Zp0xW81QqLm2" */ int token;', ["Zp0xW81QqLm2"]),
+    ('url = "postgres://bob:hT7kq92Lm@db/x"', ["hT7kq92Lm"]),
+    ('a = "hT7k"\nb = a + "q92Lm"\nsecret_key = b', ["hT7k", "q92Lm"]),
+    ("const apiKey = `Zp0xW81QqLm2`;", ["Zp0xW81QqLm2"]),
+    ('{"user": "bob", "accessKey": "Zp0xW81QqLm2"}', ["Zp0xW81QqLm2"]),
+    ('name = "hT7kq92Lm"', []),
+    ('password = "changeme"', []),
+    ("The key point: tokens are words, and the password is a word too.", []),
+    ('print("password: ", x)  # it\'s fine', []),
+    ('keyboard = "hT7kq92Lm"', []),
+    ('passphrase => "correct-Horse7battery"', ["correct-Horse7battery"]),
+    ('salt = "Zp0xW81QqLm2"', ["Zp0xW81QqLm2"]),
+]
+
+
+def test_secret_lexer_on_labelled_texts():
+    hit = missed = wrong = 0
+    for text, want in LABELLED:
+        got = [text[a:b] for a, b, *_ in secret_scan.named_literals(text)]
+        hit += len(set(got) & set(want))
+        missed += len(set(want) - set(got))
+        wrong += len(set(got) - set(want))
+    assert hit / (hit + missed) >= 0.95 and hit / (hit + wrong) >= 0.95, (hit, missed, wrong)
+
+
+def test_secret_lexer_on_long_texts():
+    import time
+
+    for text in ("/* " * 100_000 + "key", '"""' * 100_000 + "key", "'" * 200_000 + "key", "key" + "A1b2" * 250_000, "key: " * 100_000, "<a>" * 100_000 + "key", "key(" * 100_000, "--key " * 50_000, "a://b:" * 50_000, "password: |\n" + " x1Y2z3\n" * 50_000):
+        began = time.time()
+        secret_scan.named_literals(text)
+        assert time.time() - began < 10, text[:20]
