@@ -1,7 +1,7 @@
 """Approximate nearest neighbours by learned partitions.
 
-A bounded sample's neighbour graph is cut into parts of equal size, and a small network learns to
-tell the part of a vector.  Every row is filed under its likeliest part; a query is routed to as many
+A bounded sample's neighbour graph is cut into parts of equal size, more of them for more rows, and a
+small network learns to tell the part of a vector.  Every row is filed under its likeliest part; a query is routed to as many
 of its likeliest parts as the sample shows are needed, and the rows there are ranked exactly.
 """
 
@@ -12,11 +12,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-SAMPLE_ROWS = 4000  # bound on the rows that the index is fitted on
-PARTS = 16
+LEAST_SAMPLE, MOST_SAMPLE = 4000, 20_000  # bounds on the rows that the index is fitted on
+LEAST_PARTS, MOST_PARTS = 16, 256
+PART_ROWS = 5000  # rows a part while there are fewer than the most parts
+SLICE_ROWS = 65_536  # rows of a part that one task holds against a block of queries
 HIDDEN = 96
 NEIGHBOURS = 10
-WANTED_RECALL = 0.97  # on the sample; sets how many parts a query visits
+WANTED_RECALL = 0.95  # on rows that the net has not seen; sets how many parts a query visits
 BLOCK_ROWS, BLOCK_QUERIES = 1024, 256
 
 
@@ -88,17 +90,23 @@ def fit_router(x: np.ndarray, target: np.ndarray, steps: int = 200) -> tuple:
 
 def route(x: np.ndarray, model: dict) -> np.ndarray:
     """Parts of each row, likeliest first."""
+    if model["net"] is None:
+        return np.zeros((len(x), 1), np.int64)
     x = (x - model["mean"]) / model["scale"]
     h = np.maximum(0, x @ model["net"][0] + model["net"][1])
     return np.argsort(-(h @ model["net"][2] + model["net"][3]), axis=1, kind="stable")
 
 
-def fit(x: np.ndarray, parts: int = PARTS, k: int = NEIGHBOURS, recall: float = WANTED_RECALL) -> dict:
+def parts_for(rows: int) -> int:
+    """Parts of an index over so many rows."""
+    return max(LEAST_PARTS, min(MOST_PARTS, rows // PART_ROWS))
+
+
+def fit(x: np.ndarray, parts: int = LEAST_PARTS, k: int = NEIGHBOURS, recall: float = WANTED_RECALL) -> dict:
     """Router from sample vectors (n, d); with few rows there is a single part."""
     n = len(x)
     if n < 20 * parts:
-        d = x.shape[1] if n else 1
-        return {"mean": np.zeros(d), "scale": 1.0, "net": (np.zeros((d, 1)), np.zeros(1), np.zeros((1, 1)), np.zeros(1)), "visits": 1}
+        return {"net": None, "visits": 1}
     graph = nearest_in(x, k)
     part = balanced_parts(x, graph, parts)
     target = np.zeros((n, parts))
@@ -141,10 +149,14 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = NEIGHBOURS, model: d
     vectors take no part; of rows with one vec_id and vector one takes part; other columns are ignored.
     """
     base, asked = usable(vectors), usable(queries)
+    many = base.count()
+    parts = parts_for(many)
     if model is None:
-        rows = base.orderBy(F.xxhash64("fl_v", F.lit(1)), "vec_id").limit(SAMPLE_ROWS).select("fl_v").collect()
-        model = fit(np.array([r[0] for r in rows], dtype=np.float64).reshape(len(rows), -1) if rows else np.zeros((0, 1)))
+        some = max(LEAST_SAMPLE, min(MOST_SAMPLE, 80 * parts))
+        rows = base.orderBy(F.xxhash64("fl_v", F.lit(1)), "vec_id").limit(some).select("fl_v").collect()
+        model = fit(np.array([r[0] for r in rows], dtype=np.float64).reshape(len(rows), -1) if rows else np.zeros((0, 1)), parts)
     visits = model["visits"]
+    slices = -(-many // (parts * SLICE_ROWS)) or 1  # of each part; a query's block goes to all of them
     # of equal vectors only the k + 1 smallest ids can be among a query's k nearest
     copies = Window.partitionBy("fl_v").orderBy("vec_id")
     rows = base.dropDuplicates(["vec_id", "fl_v"]).withColumn("fl_c", F.row_number().over(copies)).where(F.col("fl_c") <= k + 1).drop("fl_c")
@@ -175,8 +187,8 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = NEIGHBOURS, model: d
         return run
 
     layout = "part int, ids binary, xs binary"
-    filed = rows.mapInArrow(packed(1, BLOCK_ROWS), layout)
-    routed = asked.dropDuplicates(["vec_id", "fl_v"]).mapInArrow(packed(visits, BLOCK_QUERIES), layout).select("part", F.col("ids").alias("q_ids"), F.col("xs").alias("q_xs"))
+    filed = rows.mapInArrow(packed(1, BLOCK_ROWS), layout).withColumn("slice", F.pmod(F.xxhash64("ids"), F.lit(slices)))
+    routed = asked.dropDuplicates(["vec_id", "fl_v"]).mapInArrow(packed(visits, BLOCK_QUERIES), layout).select("part", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(slices - 1).cast("bigint"))).alias("slice"), F.col("ids").alias("q_ids"), F.col("xs").alias("q_xs"))
 
     def ranked(batches):
         for b in batches:
@@ -197,6 +209,6 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = NEIGHBOURS, model: d
                     out.append((np.full(len(best), q_ids[j]), ids[at][best], d[best]))
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)], names=["query_id", "vec_id", "score"])
 
-    pairs = filed.join(routed, "part").select("ids", "xs", "q_ids", "q_xs").mapInArrow(ranked, "query_id bigint, vec_id bigint, score double")
+    pairs = filed.join(routed, ["part", "slice"]).select("ids", "xs", "q_ids", "q_xs").mapInArrow(ranked, "query_id bigint, vec_id bigint, score double")
     w = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return pairs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

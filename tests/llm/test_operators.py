@@ -429,3 +429,15 @@ def test_secret_lexer_on_long_texts():
         began = time.time()
         secret_scan.named_literals(text)
         assert time.time() - began < 10, text[:20]
+
+
+def test_learned_partitions_prune_data_with_structure():
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(60, 24))[rng.integers(60, size=4000)] * 4 + rng.normal(size=(4000, 24)) * 0.4
+    model = learned_partitions.fit(x[:3200])
+    assert model["visits"] <= learned_partitions.LEAST_PARTS // 2
+    order = learned_partitions.route(x, model)
+    near = learned_partitions.nearest_in(x, 10)[3200:]
+    found = (order[:, 0][near][:, :, None] == order[3200:, : model["visits"]][:, None, :]).any(2)
+    assert found.mean() >= 0.9
+    assert learned_partitions.parts_for(10**9) > learned_partitions.parts_for(10**5) >= learned_partitions.LEAST_PARTS
