@@ -198,8 +198,8 @@ def folded(container: DataFrame, codec: str, layout: Layout, stage: str, dims: t
     return Ready(rows, Reading(work, stage, steps, boundary))
 
 
-def local(how: Reading, row: dict) -> dict:
-    """Of one chunk: ``at`` (coordinates), ``keep`` (points with a result), ``d`` (a derivative for each axis) and ``lap``.
+def local(how: Reading, row: dict, gradient: bool = True, laplacian: bool = True) -> dict:
+    """Of one chunk's points with a result, a box: ``lo`` and ``shape``, ``d`` (a derivative for each axis) and ``lap``.
 
     Integers are differences of both neighbours, times eps the derivative, and the neighbours' sum less
     twice the number of axes times the centre, times twice eps the Laplacian; VALUE gives both as doubles.
@@ -207,46 +207,55 @@ def local(how: Reading, row: dict) -> dict:
     lo, shape, dims = place(row, how.layout)
     q, steps = how.steps(row)
     n, mode = len(shape), how.boundary
-    at = np.indices(shape, sparse=True)
-    at = [x + o for x, o in zip(at, lo)]
-    whole = np.ones(shape, bool)
-    d, rims, total = [], [], None
+    inner = mode == "interior"
+    box = [slice(int(inner and o == 0), s - int(inner and o + s == d)) for o, s, d in zip(lo, shape, dims)]
+    size = tuple(max(0, b.stop - b.start) for b in box)
+    first = [np.arange(b.start, b.start + s) + o == 0 for b, s, o in zip(box, size, lo)]
+    last = [np.arange(b.start, b.start + s) + o == d - 1 for b, s, o, d in zip(box, size, lo, dims)]
+    d, total, whole = [], None, np.ones(size, bool) if mode == "null" else None
+    if how.stage == VALUE:
+        scale = 2 * row["eps"]
+        q = q[tuple(box)]
+        v = q.astype(np.float64) * scale
     for a in range(n):
-        back, ahead = cut(steps[a], a, None, -1), cut(steps[a], a, 1, None)
-        first, last = np.broadcast_to(at[a] == 0, shape), np.broadcast_to(at[a] == dims[a] - 1, shape)
-        rim = first | last
+        along = [slice(b.start, b.start + s) for b, s in zip(box, size)]
+        back = steps[a][tuple(along)]
+        along[a] = slice(box[a].start + 1, box[a].start + size[a] + 1)
+        ahead = steps[a][tuple(along)]
+        open_, close = (x.reshape([-1 if b == a else 1 for b in range(n)]) for x in (first[a], last[a]))
         if mode == "clamp":
-            back, ahead = np.where(first, 0, back), np.where(last, 0, ahead)
+            back, ahead = np.where(open_, 0, back), np.where(close, 0, ahead)
         elif mode == "one_sided":  # on an axis of one point nothing is to either side
-            back, ahead = np.where(first, np.where(last, 0, ahead), back), np.where(last, np.where(first, 0, back), ahead)
+            back, ahead = np.where(open_, np.where(close, 0, ahead), back), np.where(close, np.where(open_, 0, back), ahead)
         if how.stage == VALUE:
-            scale = 2 * row["eps"]
-            v, low, high = (x.astype(np.float64) * scale for x in (q, q - back, q + ahead))
+            low, high = (q - back).astype(np.float64) * scale, (q + ahead).astype(np.float64) * scale
             one = (high - low) / 2
             if mode == "one_sided":
-                one = np.where(first & ~last, high - v, np.where(last & ~first, v - low, one))
-                low, high = np.where(rim, v, low), np.where(rim, v, high)
-            d.append(one)
-            total = high + low if total is None else total + (high + low)
+                one = np.where(open_ & ~close, high - v, np.where(close & ~open_, v - low, one))
+                low, high = (np.where(open_ | close, v, x) for x in (low, high))
+            across = high + low
         else:
-            d.append(ahead + back)
-            total = ahead - back if total is None else total + (ahead - back)
-        rims.append(rim)
-        whole &= ~rim
-    if how.stage == VALUE:
+            one = ahead + back if gradient else None
+            across = ahead - back if laplacian else 0
+        if mode == "null":
+            rim = np.broadcast_to(open_ | close, size)
+            one, whole = np.ma.MaskedArray(one, rim), whole & ~rim
+        d.append(one)
+        if laplacian:
+            total = across if total is None else total + across
+    if laplacian and how.stage == VALUE:
         total = total - 2.0 * n * v
-    keep = whole if mode == "interior" else np.ones(shape, bool)
-    if mode == "null":
-        d = [np.ma.MaskedArray(x, r) for x, r in zip(d, rims)]
+    if laplacian and mode == "null":
         total = np.ma.MaskedArray(total, ~whole)
-    return {"at": [np.broadcast_to(x, shape) for x in at], "keep": keep, "d": d, "lap": total}
+    return {"lo": [o + b.start for o, b in zip(lo, box)], "shape": size, "d": d, "lap": total}
 
 
 def places(found: dict) -> dict:
     """Columns i, j, k of the points with a result."""
-    zero = np.zeros(int(found["keep"].sum()), np.int64)
-    n = len(found["at"])
-    return {c: found["at"][a][found["keep"]] if a < n else zero for a, c in enumerate("ijk")}
+    size, n = found["shape"], len(found["shape"])
+    at = [np.broadcast_to((np.arange(s) + o).reshape([-1 if b == a else 1 for b in range(n)]), size).ravel() for a, (s, o) in enumerate(zip(size, found["lo"]))]
+    zero = np.zeros(int(np.prod(size)), np.int64)
+    return {c: at[a] if a < n else zero for a, c in enumerate("ijk")}
 
 
 def stencilled(ready: Ready) -> DataFrame:
@@ -257,12 +266,30 @@ def stencilled(ready: Ready) -> DataFrame:
     def run(row):
         f = local(how, row)
         at = places(f)
-        d = {f"d{a}": f["d"][a][f["keep"]] if a < len(f["d"]) else np.zeros(len(at["i"]), np.float64 if kind == "double" else np.int64) for a in range(3)}
-        return {"field": row["field"], "eps": row["eps"], "lap": f["lap"][f["keep"]]} | at | d
+        zero = np.zeros(len(at["i"]), np.float64 if kind == "double" else np.int64)
+        d = {f"d{a}": f["d"][a].ravel() if a < len(f["d"]) else zero for a in range(3)}
+        return {"field": row["field"], "eps": row["eps"], "lap": f["lap"].ravel()} | at | d
 
     return flat_kernel(ready.rows, run, f"field string, eps double, i bigint, j bigint, k bigint, d0 {kind}, d1 {kind}, d2 {kind}, lap {kind}")
 
 
+def result_chunks(ready: Ready, operation: str = "gradient") -> DataFrame:
+    """The derivatives, or the Laplacian, as chunk rows: (field, ci, cj, ck, eps, lo, shape, d0, d1, d2 or lap).
+
+    Arrays are row-major in the box from ``lo`` on; for large fields, whose results stay arrays.
+    """
+    how = ready.how
+    kind = "double" if how.stage == VALUE else "bigint"
+    names = [f"d{a}" for a in range(how.layout.ndim)] if operation == "gradient" else ["lap"]
+
+    def run(row):
+        f = local(how, row, operation == "gradient", operation == "laplacian")
+        arrays = f["d"] if operation == "gradient" else [f["lap"]]
+        yield {k: row[k] for k in (*KEY, "eps")} | {"lo": f["lo"], "shape": f["shape"]} | {n: x.ravel() for n, x in zip(names, arrays)}
+
+    return kernel(ready.rows, run, f"field string, ci int, cj int, ck int, eps double, lo array<bigint>, shape array<int>, {', '.join(f'{n} array<{kind}>' for n in names)}")
+
+
 def derivatives(container: DataFrame, codec: str, layout: Layout, stage: str, anchor: str = "grid", boundary: str = "interior") -> DataFrame:
     """(field, eps, i, j, k, d0, d1, d2, lap): integers at RESID and QUANT.
 
@@ -315,9 +342,9 @@ def vector_kernel(parts: list[Ready], names: list[str], combine: Callable[[list[
     def run(row):
         d, out = [], None
         for n, how in enumerate(hows):
-            f = local(how, row[f"u{n}"])
+            f = local(how, row[f"u{n}"], laplacian=False)
             out = out or places(f)
-            d.append([x[f["keep"]] * (1.0 if how.stage == VALUE else row[f"u{n}"]["eps"]) for x in f["d"]])
+            d.append([x.ravel() * (1.0 if how.stage == VALUE else row[f"u{n}"]["eps"]) for x in f["d"]])
         return out | dict(zip(names, combine(d)))
 
     return flat_kernel(joined, run, "i bigint, j bigint, k bigint, " + ", ".join(f"{n} double" for n in names))

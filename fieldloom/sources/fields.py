@@ -165,7 +165,8 @@ FIELDS = {
 def polynomial_chunks(spark: SparkSession, name: str, shape: tuple[int, ...], layout: Layout, rel: float) -> DataFrame:
     """Quantised chunk rows of polynomial() at any size, made chunk by chunk: nothing is shuffled.
 
-    The range, which the bound is relative to, is that of the corners, edge middles and centre of the grid.
+    A layout of one dimension gives the flattened field.  The range, which the bound is relative to, is
+    that of a coarse mesh over the grid with its corners and middles.
     """
     import numpy as np
 
@@ -179,15 +180,17 @@ def polynomial_chunks(spark: SparkSession, name: str, shape: tuple[int, ...], la
 
     some = values(np.meshgrid(*[np.array([0, s // 4, s // 2, 3 * s // 4, s - 1], np.int64) for s in shape], indexing="ij"))
     eps = rel * float(some.max() - some.min())
-    many = [-(-s // k) for s, k in zip(shape, layout.chunk)] + [1, 1]
-    total = many[0] * many[1] * many[2]
+    flat = layout.ndim < len(shape)
+    grid = [int(np.prod(shape))] if flat else list(shape)
+    many = [-(-s // k) for s, k in zip(grid, layout.chunk)] + [1, 1]
     cell = {"ci": F.floor(F.col("id") / (many[1] * many[2])), "cj": F.pmod(F.floor(F.col("id") / many[2]), F.lit(many[1])), "ck": F.pmod(F.col("id"), F.lit(many[2]))}
-    dims = [F.lit(d).cast("bigint").alias(f"d{a}") for a, d in enumerate([*shape, 1, 1][:3])]
-    rows = spark.range(total).select(F.lit(name).alias("field"), *[e.cast("int").alias(n) for n, e in cell.items()], F.lit(eps).alias("eps"), *dims)
+    dims = [F.lit(d).cast("bigint").alias(f"d{a}") for a, d in enumerate([*grid, 1, 1][:3])]
+    rows = spark.range(many[0] * many[1] * many[2]).select(F.lit(name).alias("field"), *[e.cast("int").alias(n) for n, e in cell.items()], F.lit(eps).alias("eps"), *dims)
 
     def run(row):
         lo, extent, _ = place(row, layout)
-        v = values([x + o for x, o in zip(np.indices(extent, sparse=True), lo)]).astype(np.float64)
+        at = [x + o for x, o in zip(np.indices(extent, sparse=True), lo)]
+        v = values(np.unravel_index(at[0], shape) if flat else at).astype(np.float64)
         yield row | {"data": np.floor(v / (2 * row["eps"]) + 0.5).astype(np.int64).ravel()}
 
     return kernel(rows, run, f"{HEAD}, data array<bigint>")
