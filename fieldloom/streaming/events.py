@@ -7,6 +7,9 @@ from __future__ import annotations
 
 import uuid
 
+import numpy as np
+import pandas as pd
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -46,6 +49,37 @@ def once_each(events: DataFrame) -> DataFrame:
     return quantised(events).withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "q")
 
 
+def weighted(events: DataFrame) -> DataFrame:
+    """Each event with the weight of its type from a static table: a join of stream and table."""
+    weights = events.sparkSession.createDataFrame([("click", 1), ("purchase", 5), ("error", 0)], "event_type string, weight int")
+    return quantised(events).join(F.broadcast(weights), "event_type").select("event_id", (F.col("q") * F.col("weight")).alias("weighted"))
+
+
+def chained(events: DataFrame) -> DataFrame:
+    """(event_id, p): each event's integer less its predecessor's of the same type, which the state keeps between batches."""
+
+    def run(key, batches, state):
+        last = state.get[0] if state.exists else 0
+        held = [b for b in batches]
+        if not held:
+            return
+        rows = pd.concat(held).sort_values("event_id")
+        q = rows["q"].to_numpy()
+        state.update((int(q[-1]),))
+        yield pd.DataFrame({"event_id": rows["event_id"].to_numpy(), "p": np.diff(q, prepend=last)})
+
+    keyed = quantised(events).select("event_type", "event_id", "q").groupBy("event_type")
+    return keyed.applyInPandasWithState(run, "event_id bigint, p bigint", "last bigint", "append", "NoTimeout")
+
+
+def shared_folder(spark) -> str:
+    """The session's checkpoint folder; a folder of this machine only where the session is on one machine."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not found and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return (found or "file:///tmp/checkpoints/fieldloom").rstrip("/")
+
+
 def finished(stream: DataFrame, mode: str) -> DataFrame:
     """Run to the end of the input at hand and give what the sink holds.
 
@@ -53,7 +87,7 @@ def finished(stream: DataFrame, mode: str) -> DataFrame:
     """
     spark = stream.sparkSession
     name = f"fl_stream_{uuid.uuid4().hex}"
-    folder = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/fieldloom").rstrip("/")
+    folder = shared_folder(spark)
     q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{folder}/{name}").trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.table(name)
@@ -86,10 +120,14 @@ QUERIES = {
     "stream_sliding": _query(sliding, "complete"),
     "stream_session": _query(sessions, "complete"),
     "stream_dedup": _query(once_each, "append"),
+    "stream_static_join": _query(weighted, "append"),
+    "stream_chain_encoder": _query(chained, "append"),
 }
 ORACLES = {
     "stream_tumbling": f"SELECT strftime(ts, '%Y-%m-%d') AS day, {SUMS} FROM (SELECT ts, {Q} AS q FROM events) GROUP BY 1",
     "stream_sliding": f"SELECT strftime(date_trunc('hour', ts) - to_hours(h), '%Y-%m-%d %H:%M') AS start, {SUMS} FROM (SELECT ts, {Q} AS q FROM events), range(0, 6) r(h) GROUP BY 1",
     "stream_session": f"WITH e AS (SELECT user_id, ts, {Q} AS q, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 30 MINUTE OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM e) SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, {SUMS} FROM s GROUP BY user_id, s",
     "stream_dedup": f"SELECT event_id, {Q} AS q FROM events",
+    "stream_static_join": f"SELECT event_id, {Q} * CASE event_type WHEN 'click' THEN 1 WHEN 'purchase' THEN 5 ELSE 0 END AS weighted FROM events WHERE event_type IN ('click', 'purchase', 'error')",
+    "stream_chain_encoder": f"WITH e AS (SELECT event_type, event_id, {Q} AS q FROM events) SELECT event_id, q - lag(q, 1, 0) OVER (PARTITION BY event_type ORDER BY event_id) AS p FROM e",
 }
