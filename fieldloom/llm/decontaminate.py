@@ -69,8 +69,10 @@ def phrase_candidates(index: DataFrame, probes: DataFrame) -> DataFrame:
 def proximity_matches(docs: DataFrame, items: DataFrame, within: int) -> DataFrame:
     """(doc_id, item): rows of ``docs`` where all probed terms of a window of the item lie ``within`` words of the rarest.
 
-    The same index as for phrases; order and offsets are free.  Nulls have no words.
+    The same index as for phrases; order and offsets are free; ``within`` is at least 1.  Nulls have no words.
     """
+    if within < 1:
+        raise ValueError("within is a distance of at least one word")
     docs = docs.select("doc_id", "text").withColumn("fl_k", F.xxhash64("doc_id", "text"))
     probes = rarest_terms(docs, item_windows(items))
     index = postings(docs, probes)
