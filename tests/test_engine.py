@@ -180,3 +180,72 @@ def test_raw_files(spark, tmp_path):
     (tmp_path / "u.f32").write_bytes(a.tobytes())
     got = {(r.i, r.j): r.value for r in box.raw_field(spark, str(tmp_path / "u.f32"), "u", (4, 6)).collect()}
     assert got == {at: float(v) for at, v in np.ndenumerate(a)}
+
+
+def test_result_chunks_and_boundaries(spark):
+    a = np.random.default_rng(7).integers(-30, 30, (9, 10)).astype(float)
+    c, layout = compress(spark, a, "lorenzo", (4, 6))
+    for stage in (RESID, QUANT, VALUE):
+        got = {}
+        for r in dif.result_chunks(dif.prepared(c, "lorenzo", layout, stage)).collect():
+            at = [tuple(np.add(r.lo, x)) for x in np.ndindex(*r["shape"])]
+            got |= dict(zip(at, r.d0))
+        scale = 0.5 if stage == VALUE else 1
+        assert got == {(i, j): (a[i + 1, j] - a[i - 1, j]) * scale for i in range(1, 8) for j in range(1, 9)}
+    wide = np.pad(a, 1, mode="edge")
+    clamp = {(r.i, r.j): (r.d0, r.d1) for r in dif.derivatives(c, "lorenzo", layout, RESID, boundary="clamp").collect()}
+    assert clamp == {(i, j): (wide[i + 2, j + 1] - wide[i, j + 1], wide[i + 1, j + 2] - wide[i + 1, j]) for i in range(9) for j in range(10)}
+    with pytest.raises(UnsupportedStage):
+        dif.prepared(c, "lorenzo", layout, RESID, boundary="periodic")
+
+
+def test_a_grid_with_holes_is_an_error(spark):
+    from fieldloom.operators.codecs import compress_points
+
+    p = points(spark, np.arange(20.0).reshape(4, 5))
+    both = p.where("not (i = 1 and j = 2)").union(p.where("i = 0 and j = 0"))  # one missing, one twice
+    with pytest.raises(Exception, match="1 points missing and 1 repeated"):
+        compress_points(both, "meannd", ErrorBound(1e-3), 2).collect()
+
+
+def test_sums_beyond_64_bits():
+    big = np.full(1000, 1 << 40)
+    assert sta.exact(big, big) == 1000 << 80 and sta.exact(big) == 1000 << 40
+
+
+def test_carries_of_a_long_line(spark, monkeypatch):
+    from fieldloom.operators import chunks
+
+    monkeypatch.setattr(chunks, "LINE", 3)  # many pieces of a line
+    a = np.random.default_rng(9).integers(-9, 9, 150).astype(float)
+    c, layout = compress(spark, a, "chain1d", (8,))
+    back = to_points(partial_decompress(c, "chain1d", layout, QUANT), layout).orderBy("i").collect()
+    assert [r.v for r in back] == a.astype(int).tolist()
+
+
+def test_generic_operators(spark):
+    from fieldloom.operators import generic
+
+    a = np.random.default_rng(2).integers(-20, 20, (7, 11)).astype(float)
+    for codec in ("lorenzo", "meannd"):
+        c, layout = compress(spark, a, codec, (4, 6))
+        boxes = spark.createDataFrame([(1, [0, 0], [6, 10]), (2, [3, 4], [5, 7]), (3, [90, 0], [99, 2])], "id bigint, lo array<bigint>, hi array<bigint>")
+        got = {r.id: (r.n, r.s1, r.lowest, r.highest) for r in generic.regional(c, codec, layout, boxes).collect()}
+        part = a[3:6, 4:8]
+        assert got == {1: (77, a.sum(), a.min(), a.max()), 2: (12, part.sum(), part.min(), part.max())}
+        cells = {(r.i, r.j) for r in generic.isosurface_cells(c, codec, layout, 0.5).collect()}
+        four = [a[i : i + 6, j : j + 10] for i in (0, 1) for j in (0, 1)]
+        assert cells == {tuple(map(int, x)) for x in np.argwhere((np.minimum.reduce(four) < 0.5) & (np.maximum.reduce(four) >= 0.5))}
+
+
+def test_micro_batches_become_containers(spark, tmp_path):
+    from fieldloom.streaming import events
+
+    rows = [(i, "click" if i % 3 else "view", float(i % 7)) for i in range(40)]
+    spark.createDataFrame(rows, "event_id bigint, event_type string, value double").write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("event_id bigint, event_type string, value double").parquet(str(tmp_path / "in"))
+    events.compress_batches(stream, str(tmp_path / "out"), str(tmp_path / "state")).start().awaitTermination()
+    layout = Layout((64,), (65536,))
+    c = spark.read.parquet(str(tmp_path / "out")).drop("batch")
+    got = {r.field: r.int_num for r in sta.field_mean(c, "mean1d", layout, QUANT).collect()}
+    assert got == {k: sum(round(v / (2 * events.EPS)) for _, t, v in rows if t == k) for k in ("click", "view")}
