@@ -123,7 +123,7 @@ def to_chunks(points: DataFrame, layout: Layout) -> DataFrame:
 
 
 def dense(row: dict, layout: Layout) -> np.ndarray:
-    """The integers of a chunk row as an array; a grid with a missing or repeated point is an error."""
+    """The numbers of a chunk row as an array; a grid with a missing or repeated point is an error."""
     lo, shape, _ = place(row, layout)
     if "data" in row:  # made as a whole
         return row["data"].reshape(shape)
@@ -132,7 +132,7 @@ def dense(row: dict, layout: Layout) -> np.ndarray:
     seen = np.bincount(pos, minlength=n)
     if len(pos) != n or (seen != 1).any():
         raise ValueError(f"field {row['field']}: the chunk at {lo} has {int((seen == 0).sum())} points missing and {int((seen > 1).sum())} repeated")
-    out = np.empty(n, np.int64)
+    out = np.empty(n, q.dtype)
     out[pos] = q
     return out.reshape(shape)
 
