@@ -1,11 +1,14 @@
-"""Queries over variants of the codecs: other encoders and the transform codec."""
+"""Queries over variants of the codecs: other encoders, the transform codec, and formats of points."""
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fieldloom.functions.bitpack import LONGEST
+from fieldloom.functions.quantise import quantised
 from fieldloom.model import CODECS, ErrorBound
 from fieldloom.operators import encoders, transform
 from fieldloom.operators.codecs import to_points
@@ -13,6 +16,7 @@ from fieldloom.operators.generic import symbol_counts
 from fieldloom.plans import oracle
 from fieldloom.plans.workloads import REL, packed
 from fieldloom.sources.fields import FIELDS
+from fieldloom.streaming.events import shared_folder
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -101,5 +105,26 @@ def transform_queries() -> None:
         add(f"blocks_cosine_{name}", lambda s, d, n=name: cosine(n, s, d).agg(F.sum(F.size("n")).alias("blocks")), f"{sums} SELECT count(*) AS blocks FROM m")
 
 
+# formats of points
+
+
+def by_way_of(form: str):
+    """Quantised points after a way through files of a format, read by their schema."""
+
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        q = quantised(FIELDS["ord_price"].points(spark, sf), ErrorBound(REL)).select("i", "value", "q")
+        path = f"{shared_folder(spark)}/points_{form}_{uuid.uuid4().hex}"
+        q.write.format(form).save(path)
+        return spark.read.schema(q.schema).format(form).load(path)
+
+    return query
+
+
+def format_queries() -> None:
+    for form in ("csv", "json", "orc"):
+        add(f"rel_r03_{form}_points", by_way_of(form), f"WITH {oracle.base('ord_price', REL)} SELECT i, value, q FROM q")
+
+
+format_queries()
 encoder_queries()
 transform_queries()

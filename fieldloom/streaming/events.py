@@ -10,7 +10,7 @@ import uuid
 import numpy as np
 import pandas as pd
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 EPS = 0.05  # an absolute bound: a stream has no range yet
@@ -93,15 +93,80 @@ def finished(stream: DataFrame, mode: str) -> DataFrame:
     return spark.table(name)
 
 
+def in_turns(spark: SparkSession, turns: list[DataFrame], make) -> DataFrame:
+    """What a stream appends if its input arrives in turns: each is read to its end before the next one comes."""
+    folder = f"{shared_folder(spark)}/turns_{uuid.uuid4().hex}"
+    schema = turns[0].schema
+    for rows in turns:
+        rows.write.mode("append").parquet(f"{folder}/in")
+        stream = make(spark.readStream.schema(schema).parquet(f"{folder}/in"))
+        stream.writeStream.format("parquet").outputMode("append").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{folder}/out")
+
+
+def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Days as they close, where the first day's rows come a second time at the very end: they change nothing."""
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    first, last = events.agg(F.min("ts"), F.max("ts")).first()
+    middle = F.lit(first) + (F.lit(last) - F.lit(first)) / 2
+    turns = [events.where(F.col("ts") < middle), events.where(F.col("ts") >= middle), events.where(F.to_date("ts") == F.to_date(F.lit(first)))]
+    return in_turns(spark, turns, tumbling)
+
+
+def followed(events: DataFrame) -> DataFrame:
+    """Pairs of a click and a purchase of the same user within six hours after it: an interval join of two streams."""
+    side = lambda kind, name: events.where(F.col("event_type") == kind).select("user_id", F.col("event_id").alias(name), F.col("ts").alias(f"{name}_ts"))
+    a, b = side("click", "click").withWatermark("click_ts", "1 hour"), side("purchase", "purchase").withWatermark("purchase_ts", "1 hour")
+    near = F.col("purchase_ts").between(F.col("click_ts"), F.col("click_ts") + F.expr("INTERVAL 6 HOURS"))
+    return a.join(b.withColumnRenamed("user_id", "buyer"), (F.col("user_id") == F.col("buyer")) & near).select("user_id", "click", "purchase")
+
+
+def rate(spark: SparkSession, rows: int) -> DataFrame:
+    """A stream of ``rows`` numbered rows a batch, as values to quantise."""
+    ticks = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).option("numPartitions", 4).load()
+    return ticks.select(F.col("value").alias("event_id"), (F.col("value") / 7).alias("value"))
+
+
+def drained(stream: DataFrame, mode: str = "append"):
+    """Run a stream to the end of its input without keeping anything: the cost of the work alone."""
+    q = stream.writeStream.format("noop").outputMode(mode).option("checkpointLocation", f"{shared_folder(stream.sparkSession)}/drain_{uuid.uuid4().hex}").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return q
+
+
+def first_batch(spark: SparkSession, rows: int) -> DataFrame:
+    """The integers of the rate source's first batch."""
+    folder = f"{shared_folder(spark)}/rate_{uuid.uuid4().hex}"
+    stream = quantised(rate(spark, rows)).select("event_id", "q")
+    stream.writeStream.foreachBatch(lambda batch, n: batch.write.mode("overwrite").parquet(f"{folder}/out/batch={n}")).option("checkpointLocation", f"{folder}/checkpoint").trigger(once=True).start().awaitTermination()
+    return spark.read.parquet(f"{folder}/out/batch=0")
+
+
+RUN = 65_536  # consecutive ids that are numbered in one piece
+
+
+def numbered(rows: DataFrame, key: str, order: str) -> DataFrame:
+    """``rows`` with ``g``: their place from 0 within ``key`` by the integer column ``order``.
+
+    Runs of ids are numbered apart, then moved by how many rows come before them: one count a run and key
+    is all that meets in one task.
+    """
+    run = F.floor(F.col(order) / RUN).cast("bigint")
+    r = rows.withColumn("run_", run)
+    before = Window.partitionBy(key).orderBy("run_").rowsBetween(Window.unboundedPreceding, -1)
+    base = r.groupBy(key, "run_").agg(F.count("*").alias("n_")).withColumn("base_", F.coalesce(F.sum("n_").over(before), F.lit(0))).drop("n_")
+    own: Column = F.row_number().over(Window.partitionBy(key, "run_").orderBy(order)) - 1
+    return r.withColumn("own_", own).join(base, [key, "run_"]).withColumn("g", (F.col("own_") + F.col("base_")).cast("bigint")).drop("run_", "own_", "base_")
+
+
 def compress_batches(stream: DataFrame, path: str, checkpoint: str):
     """Each micro-batch becomes containers of its own, under its batch number: a replay overwrites itself."""
     from fieldloom.model import ErrorBound
     from fieldloom.operators.codecs import compress_points
 
     def write(batch: DataFrame, number: int) -> None:
-        g = F.row_number().over(Window.partitionBy("event_type").orderBy("event_id")) - 1
         zero = F.lit(0).cast("bigint")
-        points = batch.select(F.col("event_type").alias("field"), g.cast("bigint").alias("i"), zero.alias("j"), zero.alias("k"), "value")
+        points = numbered(batch, "event_type", "event_id").select(F.col("event_type").alias("field"), F.col("g").alias("i"), zero.alias("j"), zero.alias("k"), "value")
         compress_points(points, "mean1d", ErrorBound(EPS, relative=False), 1).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     return stream.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True)
@@ -122,6 +187,9 @@ QUERIES = {
     "stream_dedup": _query(once_each, "append"),
     "stream_static_join": _query(weighted, "append"),
     "stream_chain_encoder": _query(chained, "append"),
+    "stream_late": late_rows,
+    "stream_stream_join": _query(followed, "append"),
+    "stream_rate": lambda s, d: first_batch(s, 10_000),
 }
 ORACLES = {
     "stream_tumbling": f"SELECT strftime(ts, '%Y-%m-%d') AS day, {SUMS} FROM (SELECT ts, {Q} AS q FROM events) GROUP BY 1",
@@ -130,4 +198,7 @@ ORACLES = {
     "stream_dedup": f"SELECT event_id, {Q} AS q FROM events",
     "stream_static_join": f"SELECT event_id, {Q} * CASE event_type WHEN 'click' THEN 1 WHEN 'purchase' THEN 5 ELSE 0 END AS weighted FROM events WHERE event_type IN ('click', 'purchase', 'error')",
     "stream_chain_encoder": f"WITH e AS (SELECT event_type, event_id, {Q} AS q FROM events) SELECT event_id, q - lag(q, 1, 0) OVER (PARTITION BY event_type ORDER BY event_id) AS p FROM e",
+    "stream_late": f"SELECT strftime(d, '%Y-%m-%d') AS day, {SUMS} FROM (SELECT date_trunc('day', ts) AS d, {Q} AS q FROM events) GROUP BY d HAVING d + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR",
+    "stream_stream_join": "SELECT a.user_id, a.event_id AS click, b.event_id AS purchase FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 6 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase'",
+    "stream_rate": f"SELECT event_id, {Q} AS q FROM (SELECT range AS event_id, range / CAST(7 AS DOUBLE) AS value FROM range(0, 10000))",
 }
