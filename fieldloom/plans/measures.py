@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from fieldloom.model import CODECS, ErrorBound, Layout
@@ -66,3 +68,41 @@ def worked_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = lambda name: to_points(resid.withColumn("data", F.col(name)), layout).select("i", "j", F.col("v").alias(name))
     t = at("data").join(at("means"), ["i", "j"])
     return t.select("i", "j", (F.col("data") + F.col("means")).alias("q"), F.col("means").alias("m"), F.col("data").alias("p"))
+
+
+def costs(spark: SparkSession, run: Callable[[], object]) -> dict[str, int]:
+    """What the stages of ``run()`` cost, by Spark's own counts: bytes shuffled, spilled and read, and the largest peak of memory."""
+    context = spark.sparkContext
+    jvm = context._jvm
+
+    def stages():
+        found = context._jsc.sc().statusStore().stageList(jvm.java.util.ArrayList(), False, False, context._gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+        return [found.apply(n) for n in range(found.size())]
+
+    def settled():  # the counts arrive on a bus of their own
+        context._jsc.sc().listenerBus().waitUntilEmpty()
+        return stages()
+
+    before = {x.stageId() for x in settled()}
+    run()
+    own = [x for x in settled() if x.stageId() not in before]
+    return {
+        "stages": len(own),
+        "shuffled": sum(x.shuffleWriteBytes() for x in own),
+        "spilled": sum(x.diskBytesSpilled() for x in own),
+        "read": sum(x.inputBytes() for x in own),
+        "peak_memory": max((x.peakExecutionMemory() for x in own), default=0),
+    }
+
+
+def codec_table(ratios: DataFrame) -> DataFrame:
+    """(field, codec, stages, bytes, rank): each codec's stages, and its place by size for each field."""
+    stages = F.create_map(*[F.lit(x) for c in CODECS.values() for x in (c.name, " ".join(c.stages))])
+    place = F.rank().over(Window.partitionBy("field").orderBy("bytes"))
+    return ratios.select("field", "codec", stages[F.col("codec")].alias("stages"), "bytes", place.alias("rank"))
+
+
+def codec_table_sql(fields: tuple[str, ...], rel: float) -> str:
+    ratios = " UNION ALL ".join(f"SELECT * FROM ({oracle.ratio_sql(f, c, rel)})" for f in fields for c in CODECS)
+    stages = "CASE WHEN codec IN ('blockdiff', 'midrange') THEN 'VALUE' WHEN codec IN ('mean1d', 'meannd') THEN 'META RESID QUANT VALUE' ELSE 'RESID QUANT VALUE' END"
+    return f"SELECT field, codec, {stages} AS stages, bytes, CAST(rank() OVER (PARTITION BY field ORDER BY bytes) AS INTEGER) AS rank FROM ({ratios})"

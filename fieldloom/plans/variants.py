@@ -1,8 +1,9 @@
-"""Queries over variants of the codecs: other encoders, the transform codec, and formats of points."""
+"""Queries over variants of the codecs: other encoders, the transform codec, codecs side by side, and formats of points."""
 
 from __future__ import annotations
 
 import uuid
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,7 +14,7 @@ from fieldloom.model import CODECS, ErrorBound
 from fieldloom.operators import encoders, transform
 from fieldloom.operators.codecs import to_points
 from fieldloom.operators.generic import symbol_counts
-from fieldloom.plans import oracle
+from fieldloom.plans import measures, oracle
 from fieldloom.plans.workloads import REL, packed
 from fieldloom.sources.fields import FIELDS
 from fieldloom.streaming.events import shared_folder
@@ -125,6 +126,16 @@ def format_queries() -> None:
         add(f"rel_r03_{form}_points", by_way_of(form), f"WITH {oracle.base('ord_price', REL)} SELECT i, value, q FROM q")
 
 
+# codecs side by side
+
+COMPARED = ("emb", "part_price", "evt_cube")
+
+
+def codec_table(spark: SparkSession, sf: str) -> DataFrame:
+    return measures.codec_table(reduce(DataFrame.unionByName, [measures.ratio(packed(FIELDS[n], c, spark, sf), c) for n in COMPARED for c in CODECS]))
+
+
+add("codec_table", codec_table, measures.codec_table_sql(COMPARED, REL))
 format_queries()
 encoder_queries()
 transform_queries()

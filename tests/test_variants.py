@@ -8,7 +8,8 @@ from hypothesis import strategies as st
 from fieldloom.functions.bitpack import LONGEST, Codes, huffman_lengths
 from fieldloom.model import ErrorBound, Layout
 from fieldloom.operators import encoders, transform
-from fieldloom.operators.codecs import compress_points
+from fieldloom.operators.codecs import compress_points, partial_decompress
+from fieldloom.plans import measures
 
 SCHEMA = "field string, i bigint, j bigint, k bigint, value double"
 
@@ -86,3 +87,20 @@ def test_cosine_codec(spark, shape, block, chunk):
     assert sd.result_micro == pytest.approx(got.std(ddof=1) * 1e6, abs=2)
     one = transform.cosine_stddev(transform.compress_cosine(points(spark, np.array([3.0])), ErrorBound(0.5, relative=False), Layout((8,), (8,)))).first()
     assert one.n == 1 and one.result_micro is None
+
+
+def test_costs_grow_with_the_points(spark):
+    layout = Layout((8, 8), (64, 64))
+    cost = {}
+    for n in (128, 256):
+        a = spark.range(n * n).selectExpr("'f' AS field", f"id DIV {n} AS i", f"id % {n} AS j", "0L AS k", "CAST((id * 7919) % 1000 AS DOUBLE) AS value")
+        box = compress_points(a, "lorenzo", ErrorBound(1e-3), 2, layout.chunk)
+        cost["points", n] = measures.costs(spark, lambda: box.count())  # before a cache answers for it
+        box = box.cache()
+        box.count()
+        cost["quant", n] = measures.costs(spark, lambda: partial_decompress(box, "lorenzo", layout, "QUANT").count())
+        box.unpersist()
+    for path in ("quant", "points"):
+        small, large = cost[path, 128], cost[path, 256]
+        assert small["shuffled"] > 0 and large["shuffled"] < 8 * small["shuffled"] and large["spilled"] == 0
+    assert cost["quant", 256]["shuffled"] < cost["points", 256]["shuffled"] / 4  # carries, not points
