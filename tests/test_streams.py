@@ -1,5 +1,6 @@
 """Streams that arrive in turns, late rows, joins of streams, numbering, and raw files in records."""
 
+import uuid
 from datetime import datetime, timedelta
 
 import numpy as np
@@ -9,6 +10,7 @@ from fieldloom.sources import container as box
 from fieldloom.streaming import events
 
 START = datetime(2024, 1, 1)
+SF = "/root/testdata/sf0.001"
 
 
 def rows(spark, marks):
@@ -67,3 +69,7 @@ def test_raw_file_in_records(spark, tmp_path, monkeypatch):
     assert got == {at: float(v) for at, v in np.ndenumerate(a)}
     with pytest.raises(Exception, match="more than 30"):
         box.raw_field(spark, path, "u", (3, 2, 5)).collect()
+
+
+def test_chain_encoder_is_read_from_files(spark):
+    assert events.QUERIES["stream_chain_encoder"](spark, SF).inputFiles()
