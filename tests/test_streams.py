@@ -73,3 +73,7 @@ def test_raw_file_in_records(spark, tmp_path, monkeypatch):
 
 def test_chain_encoder_is_read_from_files(spark):
     assert events.QUERIES["stream_chain_encoder"](spark, SF).inputFiles()
+
+
+def test_dedup_is_read_from_files(spark):
+    assert events.QUERIES["stream_dedup"](spark, SF).inputFiles()
