@@ -77,3 +77,12 @@ def test_chain_encoder_is_read_from_files(spark):
 
 def test_dedup_is_read_from_files(spark):
     assert events.QUERIES["stream_dedup"](spark, SF).inputFiles()
+
+
+def test_sessions_are_read_from_the_last_batch(spark):
+    path = f"{events.shared_folder(spark)}/{uuid.uuid4().hex}"
+    for marks in ([(1, 1, "a", 0, 1), (2, 1, "a", 0.25, 2)], [(3, 1, "a", 0.5, 3), (4, 2, "a", 9, 4)]):
+        rows(spark, marks).coalesce(1).write.mode("append").parquet(path)
+    stream = spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", 1).parquet(path)
+    out = events.finished(events.sessions(stream), "complete")
+    assert out.inputFiles() and sorted((r.user_id, r.n) for r in out.collect()) == [(1, 3), (2, 1)]
