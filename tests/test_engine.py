@@ -1,5 +1,7 @@
 """The staged engine: goldens, identities between stages, bounds and plans."""
 
+from fractions import Fraction
+
 import numpy as np
 import pytest
 from hypothesis import given, settings
@@ -249,3 +251,13 @@ def test_micro_batches_become_containers(spark, tmp_path):
     c = spark.read.parquet(str(tmp_path / "out")).drop("batch")
     got = {r.field: r.int_num for r in sta.field_mean(c, "mean1d", layout, QUANT).collect()}
     assert got == {k: sum(round(v / (2 * events.EPS)) for _, t, v in rows if t == k) for k in ("click", "view")}
+
+
+def test_mean_of_values_is_exact_in_any_order(spark):
+    a = np.random.default_rng(6).uniform(4e8, 3e9, (60, 70))
+    box, layout = compress(spark, a, "lorenzo", (8, 9), 0.05)
+    v = np.floor(a / 0.1 + 0.5) * 0.1
+    want = sum(map(Fraction, v.ravel().tolist()))
+    got = {sta.field_mean(box.repartition(n, "ci", "cj"), "lorenzo", layout, VALUE).first().result_micro for n in (1, 7)}
+    assert got == {round(float(want) / a.size * 1e6)}
+    assert sta.expansion([1e16, 1.0, -1e16, 2.0**-60]) == [1.0, 2.0**-60] and sta.expansion([]) == []
