@@ -48,7 +48,8 @@ def test_rounding_rules():
 
 
 def test_worked_example(spark):
-    got = {(r.i, r.j): (r.q, r.m, r.p) for r in measures.worked_example(spark, "").collect()}
+    field = points(spark, np.array(measures.WORKED))
+    got = {(r.i, r.j): (r.q, r.m, r.p) for r in measures.tile_example(field, Layout((2, 2), (2, 4))).collect()}
     q = [[6, 8, -11, -12], [13, -5, 10, 9]]
     p = [[1, 3, -10, -11], [8, -10, 11, 10]]
     assert got == {(i, j): (q[i][j], 5 if j < 2 else -1, p[i][j]) for i in range(2) for j in range(4)}
