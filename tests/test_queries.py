@@ -84,7 +84,8 @@ def test_vector_operations_of_values(spark, duck, name):
 
 
 def test_each_supported_vector_stage_is_registered(spark):
-    for codec, operation, stage in (tuple(r) for r in planner.stage_support(spark, SF).collect()):
+    for codec, operation, stage, _, points in (tuple(r) for r in planner.stage_support(spark, SF).collect()):
+        assert points > 0
         if operation in ("divergence", "curl"):
             for n, where in ((2, "emb_uv"), (3, "emb3")):
                 assert f"{operation[:3] if operation == 'divergence' else 'curl'}{n}_{codec}_{stage.lower()}_{where}" in entry.queries()
@@ -98,7 +99,7 @@ def test_integer_derivatives_refuse_values(spark):
             dif.grid_derivatives(c, codec, f.layout(workloads.CODECS[codec].flat), "VALUE", (500, 32), f.layout())
 
 
-MOVED = ["ratio_grid_poly2d", "ratio_grid_poly3d", "worked_example"]
+MOVED = ["ratio_grid_poly2d", "ratio_grid_poly3d", "worked_example", "stage_support"]
 
 
 @pytest.mark.parametrize("name", MOVED)
