@@ -99,7 +99,7 @@ def test_integer_derivatives_refuse_values(spark):
             dif.grid_derivatives(c, codec, f.layout(workloads.CODECS[codec].flat), "VALUE", (500, 32), f.layout())
 
 
-MOVED = ["ratio_grid_poly2d", "ratio_grid_poly3d", "worked_example", "stage_support"]
+MOVED = ["ratio_grid_poly2d", "ratio_grid_poly3d", "worked_example", "stage_support", "advise_codec"]
 
 
 @pytest.mark.parametrize("name", MOVED)
