@@ -6,6 +6,8 @@ steps use one-versus-one linear support vector machines over hashed character n-
 
 from __future__ import annotations
 
+import pickle
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -141,17 +143,17 @@ def predict(model: dict | None, column: pa.Array) -> tuple[list[str], np.ndarray
     return names, np.where(lettered, score, 0.0)
 
 
-def training_rows(docs: DataFrame, most: int) -> list[tuple[str, bytes]]:
-    """At most ``most`` distinct labelled texts as packed n-gram rows, shared evenly among languages.
+def drawn_rows(docs: DataFrame, most: int) -> DataFrame | None:
+    """(fl_lang, v) of at most ``most`` distinct labelled texts as packed n-gram rows, shared evenly among languages; None without any.
 
     They are drawn by a hash of the text, and a text counts once however often it stands in ``docs``,
     so copies can't push a language's other texts out, nor leave it without any.  Numbers of distinct
-    texts are estimated over all labelled rows; only the drawn rows' n-grams reach the driver.
+    texts are estimated over all labelled rows.
     """
     docs = docs.select(F.col("lang").alias("fl_lang"), F.col("text").alias("fl_text")).where("fl_lang is not null and fl_text is not null").where(F.col("fl_text").rlike(r"\p{L}"))
     counts = {r[0]: r[1] for r in docs.groupBy("fl_lang").agg(F.approx_count_distinct(F.xxhash64("fl_text")).alias("c")).orderBy(F.desc("c"), "fl_lang").limit(most).collect()}
     if not counts:
-        return []
+        return None
     each = max(1, most // len(counts))
     # about twice the share passes the hash filter, all of a language with few texts; the window then sees a bounded set
     share = F.create_map(*[F.lit(v) for k, c in counts.items() for v in (k, 1.0 if c < 8 * each else 2.0 * each / c)])
@@ -169,7 +171,27 @@ def training_rows(docs: DataFrame, most: int) -> list[tuple[str, bytes]]:
             yield pa.RecordBatch.from_arrays([b.column("fl_lang"), pa.array(made, pa.binary())], names=["fl_lang", "v"])
 
     drawn = some.withColumn("fl_n", F.row_number().over(w)).where(F.col("fl_n") <= each).select("fl_lang", "fl_text")
-    return [tuple(r) for r in drawn.mapInArrow(grams, "fl_lang string, v binary").collect()]
+    return drawn.mapInArrow(grams, "fl_lang string, v binary")
+
+
+def training_rows(docs: DataFrame, most: int) -> list[tuple[str, bytes]]:
+    """The drawn rows as pairs."""
+    rows = drawn_rows(docs, most)
+    return [] if rows is None else [tuple(r) for r in rows.collect()]
+
+
+def fitted(docs: DataFrame, most: int) -> dict | None:
+    """The model of the drawn rows, fitted in one task: their number is bounded, and the model alone reaches the driver."""
+    rows = drawn_rows(docs, most)
+    if rows is None:
+        return None
+
+    def run(batches):
+        held = [pair for b in batches for pair in zip(b.column("fl_lang").to_pylist(), b.column("v").to_pylist())]
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit(held))], pa.binary())], names=["model"])
+
+    made = rows.repartition(1).mapInArrow(run, "model binary").first()
+    return pickle.loads(made[0]) if made else None
 
 
 def row_batches(batches, column: str):
@@ -188,7 +210,7 @@ def identify(docs: DataFrame, train: DataFrame, most_rows: int = MOST_TRAINING_R
     through untouched, and input columns named like the results are replaced.  Ties between
     languages go to the larger summed margin, then to the alphabetically first.
     """
-    model = fit(training_rows(train, most_rows))
+    model = fitted(train, most_rows)
     keep = docs.drop("lang_pred", "score")
     schema = wider(keep, ("lang_pred", "string"), ("score", "double"))
 
